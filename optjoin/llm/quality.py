@@ -59,13 +59,16 @@ def _count(array: Column, test: Callable[[Column], Column]) -> Column:
 def repeated_window_words(words: Column, window: int = WINDOW) -> Column:
     """Words in windows of consecutive words found twice or more, the first included.
 
-    Windows are compared by 64-bit hashes inside one text. Texts without a repeat, nearly all, end
+    The window is a power of two. Windows are compared by 64-bit hashes inside one text. Texts without a repeat, nearly all, end
     at a hash-set comparison; for the others the hashes are sorted with their places.
     """
     none = F.array().cast("array<bigint>")
 
+    def joined(step: int) -> Callable[[Column], Column]:
+        return lambda h: F.transform(h, lambda x, i: F.xxhash64(x, F.get(h, i + step)))
+
     def windows(h: Column) -> Column:
-        return F.when(F.size(h) < window, none).otherwise(F.transform(F.sequence(F.lit(1), F.size(h) - (window - 1)), lambda i: F.xxhash64(F.slice(h, i, window))))
+        return F.when(F.size(h) < window, none).otherwise(F.slice(h, 1, F.size(h) - (window - 1)))
 
     def places(s: Column) -> Column:
         near = lambda e, j: (e["h"] == F.get(s, j - 1)["h"]) | (e["h"] == F.get(s, j + 1)["h"])
@@ -79,7 +82,9 @@ def repeated_window_words(words: Column, window: int = WINDOW) -> Column:
         placed = F.sort_array(F.transform(w, lambda h, i: F.struct(h.alias("h"), i.alias("i"))))
         return let(let(placed, places), total)
 
-    hashes = F.transform(words, lambda w: F.xxhash64(w))
+    hashes, step = words, 1
+    while step < window:  # hashes of 2, 4 and 8 words
+        hashes, step = let(hashes, joined(step)), 2 * step
     return let(let(hashes, windows), lambda w: F.when(F.size(F.array_distinct(w)) == F.size(w), F.lit(0).cast("long")).otherwise(heavy(w)))
 
 
@@ -89,9 +94,9 @@ def measures(docs: DataFrame, text_col: str = "text", keep: Iterable[str] = ())
     text = F.coalesce(F.col(f"`{text_col}`").cast("string"), F.lit(""))
     base = docs.select(*(F.col(f"`{c}`").alias(f"k{i}") for i, c in enumerate(keep)), text.alias("t"))
     words = F.filter(F.split("t", BLANKS + "+"), lambda w: w != "")
-    lines = F.filter(F.split("t", "\n"), lambda x: F.length(F.translate(x, " \t\x0b\x0c\r", "")) > 0)
+    lines = F.filter(F.split("t", "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
     parts = base.withColumns({"w": words, "l": lines})
-    stops = F.array(*(F.lit(x) for x in sorted({*STOP_WORDS})))
+    stops = sorted({*STOP_WORDS})
     w, l = F.col("w"), F.col("l")  # noqa: E741
     return parts.select(
         *(F.col(f"k{i}").alias(c) for i, c in enumerate(keep)),
@@ -101,8 +106,8 @@ def measures(docs: DataFrame, text_col: str = "text", keep: Iterable[str] = ())
         (F.size(l) - F.size(F.array_distinct(l))).cast("long").alias("n_dup_lines"),
         repeated_window_words(w).alias("n_repeat_words"),
         F.size(l).cast("long").alias("n_lines"),
-        let(stops, lambda s: _count(w, lambda x: F.array_contains(s, x))).alias("n_stop_words"),
-        _count(w, lambda x: F.lower(x) != F.upper(x)).alias("n_letter_words"),
+        _count(w, lambda x: x.isin(stops)).alias("n_stop_words"),
+        _count(w, lambda x: x.rlike(r"\p{L}")).alias("n_letter_words"),
         _count(l, lambda x: F.endswith(x, F.lit("...")) | F.endswith(x, F.lit("…"))).alias("n_ellipsis_lines"),
         _count(l, lambda x: F.startswith(x, F.lit("- ")) | F.startswith(x, F.lit("* ")) | F.startswith(x, F.lit("• "))).alias("n_bullet_lines"),
     )

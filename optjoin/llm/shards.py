@@ -144,7 +144,8 @@ class Shard:
         return len(self.ids)
 
     def kept(self) -> dict[str, pa.ChunkedArray]:
-        return {c: self.table[c] for c in self.table.column_names if c != "text"}
+        usual = {pa.large_string(): pa.string(), pa.large_binary(): pa.binary()}
+        return {c: self.table[c].cast(usual.get(self.table[c].type, self.table[c].type)) for c in self.table.column_names if c != "text"}
 
 
 def buckets_of(keys: np.ndarray, buckets: int) -> np.ndarray:

@@ -80,7 +80,7 @@ class _Files:
         member = gz.compress(data) + gz.flush()
         if self.out is None:
             self.name = f"{self.folder}/_temporary-{self.task:06d}-{self.number:05d}-{uuid.uuid4().hex}"
-            self.out, self.records, self.size, self.sha1 = self.fs.open_output_stream(self.name), 0, 0, hashlib.sha1()
+            self.out, self.records, self.size, self.sha1 = self.fs.open_output_stream(self.name, compression=None), 0, 0, hashlib.sha1()
         self.out.write(member)
         self.sha1.update(member)
         self.records += 1
@@ -177,7 +177,7 @@ def read_warc(manifest: DataFrame, folder: str, payloads: bool = False) -> DataF
         for batch in batches:
             for name, count in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 rows, n = [], 0
-                with fs.open_input_stream(f"{base}/{name}") as file:
+                with fs.open_input_stream(f"{base}/{name}", compression=None) as file:
                     for f, block in parse_records(file.read):
                         head, _, payload = block.partition(b"\r\n\r\n")
                         size = int(re.search(rb"Content-Length: (\d+)", head)[1])
