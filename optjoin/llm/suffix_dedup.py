@@ -25,6 +25,7 @@ from . import shards as sh
 from .rolling import U, PrefixHash, anchored_runs, mix
 
 LENGTH, SHINGLE = 50, 25
+STEP_BYTES = 1 << 20
 
 
 def _hash(prefix: PrefixHash, start: np.ndarray, size: np.ndarray) -> np.ndarray:
@@ -115,7 +116,7 @@ class _Found:
 
     def __init__(self, shard: sh.Shard, length: int, shingle: int):
         counts = np.diff(shard.offsets)
-        self.doc_end = np.repeat(shard.offsets[1:], counts)
+        self.doc_end = np.repeat(shard.offsets[1:].astype(np.int32 if len(shard.flat) < 1 << 31 else np.int64), counts)
         self.first, self.count, self.anchor, self.key = anchored_runs(shard.flat, self.doc_end, length, shingle)
         self.doc = np.searchsorted(shard.offsets, self.first, side="right") - 1
         self.order = np.argsort(self.key, kind="stable")
@@ -226,6 +227,30 @@ def resolve_texts(bodies: list[bytes], length: int) -> list[bytes]:
     size = count + length - 1
     first = np.cumsum(size) - size
 
+    flag_at = np.cumsum(count) - count
+    flags = np.zeros(int(count.sum()), dtype=bool)
+    by_key = np.argsort(key, kind="stable")
+    before = np.cumsum(size[by_key]) - size[by_key]
+    heads = np.flatnonzero(sh.first_of_runs(key[by_key]))
+    cuts = np.append(heads[sh.first_of_runs(before[heads] // STEP_BYTES)], len(by_key))  # anchors stay whole
+    for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+        part = by_key[a:b]
+        text = gather(flat, first[part], size[part])
+        found = repeated_windows(text, key[part], count[part], rel[part], doc[part], length)
+        n = count[part]
+        flags[np.repeat(flag_at[part] - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))] = found
+    out, i = [], 0
+    for n in number:
+        a, b = (int(flag_at[i]), int(flag_at[i + n - 1] + count[i + n - 1])) if n else (0, 0)
+        out.append(sh.frames(str(b - a).encode(), sh.squeeze(np.packbits(flags[a:b]).tobytes())))
+        i += n
+    return out
+
+
+def repeated_windows(flat: np.ndarray, key: np.ndarray, count: np.ndarray, rel: np.ndarray, doc: np.ndarray, length: int) -> np.ndarray:
+    """For texts of whole anchors, one after another in `flat`: which windows of each a smaller document has."""
+    size = count + length - 1
+    first = np.cumsum(size) - size
     content = _span_hash(flat, first, size) ^ mix(rel.astype(np.uint64))
     order = np.lexsort((content, key))
     same = np.zeros(len(order), dtype=bool)
@@ -271,12 +296,7 @@ def resolve_texts(bodies: list[bytes], length: int) -> list[bytes]:
         n = count[sortable]
         step = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)
         flags[np.repeat(flag_at[sortable], n) + step] = smaller[np.repeat(at[text_of[sortable]], n) + step] < np.repeat(doc[sortable], n)
-    out, i = [], 0
-    for n in number:
-        a, b = (int(flag_at[i]), int(flag_at[i + n - 1] + bits[i + n - 1])) if n else (0, 0)
-        out.append(sh.frames(str(b - a).encode(), sh.squeeze(np.packbits(flags[a:b]).tobytes())))
-        i += n
-    return out
+    return flags
 
 
 def covered(shard: sh.Shard, found: _Found, texts: _Texts, got: pa.Table | None, length: int) -> np.ndarray:
@@ -295,7 +315,7 @@ def covered(shard: sh.Shard, found: _Found, texts: _Texts, got: pa.Table | None,
         start = (np.repeat(found.first[texts.runs], n) + step)[gone]
         np.add.at(change, start, 1)
         np.add.at(change, start + length, -1)
-    return np.cumsum(change[:-1]) > 0
+    return np.cumsum(change[:-1], dtype=np.int32) > 0
 
 
 def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = LENGTH, shingle: int = SHINGLE, keep: Iterable[str] = (), shard_bytes: int = sh.SHARD_BYTES) -> DataFrame:
@@ -326,12 +346,14 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     def finish(_: int, s: sh.Shard, got: pa.Table | None) -> pa.Table:
         runs = _Found(s, length, shingle)
         gone = covered(s, runs, _Texts(s, runs, got, length), got, length)
-        total = np.concatenate([[0], np.cumsum(gone)])
+        total = np.zeros(len(gone) + 1, np.int64)
+        np.cumsum(gone, out=total[1:])
         begins = gone.copy()
         begins[1:] &= ~gone[:-1]
         inner = s.offsets[:-1][s.offsets[:-1] < len(gone)]
         begins[inner] = gone[inner]  # a run ends with its document
-        spans = np.concatenate([[0], np.cumsum(begins)])
+        spans = np.zeros(len(gone) + 1, np.int64)
+        np.cumsum(begins, out=spans[1:])
         offsets = s.offsets - total[s.offsets]
         kept = s.flat[~gone]
         column = pa.Array.from_buffers(pa.large_binary(), len(s), [None, pa.py_buffer(offsets.astype(np.int64)), pa.py_buffer(np.ascontiguousarray(kept))]).cast(pa.binary())
