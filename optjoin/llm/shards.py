@@ -19,9 +19,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .rolling import U, mix
+from .session import release
 
 SHARD_BYTES = 4 << 20
-PENDING_BYTES = 32 << 20
+PENDING_BYTES = 12 << 20
 MESSAGE = "src int, kind int, bucket int, body binary"
 LAST = np.iinfo(np.int64).max
 
@@ -108,14 +109,17 @@ def shard(docs: DataFrame, id_col: str, text_col: str, shards: int, keep: Iterab
             return pa.RecordBatch.from_arrays([pa.array(src[order][cuts], pa.int32()), pa.array(bodies, pa.binary())], ["src", "body"])
 
         for batch in batches:
-            if batch.num_rows:
-                held.append(batch)
-                size += batch.nbytes
-            if size >= PENDING_BYTES:
-                yield flush()
-                held, size = [], 0
+            step = max(1, batch.num_rows * PENDING_BYTES // max(1, batch.nbytes))
+            for lo in range(0, batch.num_rows, step):
+                held.append(batch.slice(lo, step))
+                size += held[-1].nbytes
+                if size >= PENDING_BYTES:
+                    yield flush()
+                    held, size = [], 0
         if held:
             yield flush()
+        del held[:]
+        release()
 
     return docs.select(*cols).mapInArrow(deal, "src int, body binary")
 
@@ -183,12 +187,16 @@ def over(shards: DataFrame, replies: DataFrame | None, work: Callable[[int, Shar
     if replies is None:
 
         def alone(table: pa.Table) -> pa.Table:
-            return work(table["src"][0].as_py(), Shard(table["body"].to_pylist()), None)
+            out = work(table["src"][0].as_py(), Shard(table["body"].to_pylist()), None)
+            release()
+            return out
 
         return shards.groupBy("src").applyInArrow(alone, schema)
 
     def both(left: pa.Table, right: pa.Table) -> pa.Table:
-        return work(left["src"][0].as_py(), Shard(left["body"].to_pylist()), right)
+        out = work(left["src"][0].as_py(), Shard(left["body"].to_pylist()), right)
+        release()
+        return out
 
     return shards.groupBy("src").cogroup(replies.groupBy("src")).applyInArrow(both, schema)
 
@@ -200,7 +208,9 @@ def answer(messages: DataFrame, work: Callable[[list[bytes]], list[bytes]], kind
         order = np.argsort(table["src"].to_numpy(), kind="stable").tolist()
         src, body = table["src"].to_pylist(), table["body"].to_pylist()
         bucket = table["bucket"][0].as_py()
-        return message_table([(src[i], kind, bucket, x) for i, x in zip(order, work([body[i] for i in order]), strict=True)])
+        out = message_table([(src[i], kind, bucket, x) for i, x in zip(order, work([body[i] for i in order]), strict=True)])
+        release()
+        return out
 
     return messages.groupBy("bucket").applyInArrow(reply, MESSAGE)
 

@@ -332,7 +332,7 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     keep = list(keep)
     size = sh.text_bytes(docs, text_col)
     number = max(1, size // shard_bytes)
-    few, many = max(1, size // (6 * shard_bytes)), max(1, size // shard_bytes)
+    few, many = max(1, size // (2 * shard_bytes)), max(1, size // shard_bytes)
     parts = sh.shard(docs, id_col, text_col, number, keep)
 
     first = sh.send(parts, None, lambda s, _: anchor_messages(_Found(s, length, shingle), few), 1)
