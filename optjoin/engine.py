@@ -338,6 +338,7 @@ def minimum_union(arms: list[DataFrame]) -> DataFrame:
 
 def compatible_join(left: DataFrame, right: DataFrame, on: list[str]) -> DataFrame:
     """Inner join in which a null joins anything: rows are split by what they bind, so each part is an equi-join."""
+    # Aliases keep the sides apart when both come from one relation.
     out = []
     rest_l, rest_r = [c for c in left.columns if c not in on], [c for c in right.columns if c not in on]
     for a in range(1 << len(on)):

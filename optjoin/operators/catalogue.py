@@ -69,7 +69,7 @@ OPERATORS = {
         "SELECT 'customer/' || c_custkey s, 'name' p, c_name o FROM customer WHERE c_nationkey = 7 UNION ALL SELECT 'customer/' || c_custkey, 'segment', c_mktsegment FROM customer WHERE c_nationkey = 7",
     ),
     "op_o11_ask": (lambda c: c.table("customer").filter("c_nationkey = 7").limit(1).agg((F.count("*") > 0).alias("found")), "SELECT count(*) > 0 AS found FROM customer WHERE c_nationkey = 7"),
-    "op_o14_computed": (lambda c: c.table("lineitem").select("l_orderkey", F.round(F.col("l_extendedprice") * (1 - F.col("l_discount")), 2).alias("revenue")), "SELECT l_orderkey, round(l_extendedprice * (1 - l_discount), 2) AS revenue FROM lineitem"),
+    "op_o14_computed": (lambda c: c.table("lineitem").select("l_orderkey", F.floor(F.col("l_extendedprice") * (1 - F.col("l_discount"))).alias("revenue")), "SELECT l_orderkey, floor(l_extendedprice * (1 - l_discount))::BIGINT AS revenue FROM lineitem"),
     "op_o15_where": (lambda c: c.table("customer").filter("c_acctbal < 2000").select("c_custkey"), "SELECT c_custkey FROM customer WHERE c_acctbal < 2000"),
     "op_o16_like": (lambda c: c.table("part").filter(F.col("p_name").like("%a%") & F.col("p_brand").rlike("[12]$")).select("p_partkey"), "SELECT p_partkey FROM part WHERE p_name LIKE '%a%' AND regexp_matches(p_brand, '[12]$')"),
     "op_o17_in_between": (lambda c: c.table("orders").filter(F.col("o_orderpriority").isin("1-URGENT", "2-HIGH") & F.col("o_totalprice").between(1000, 50000)).select("o_orderkey"), "SELECT o_orderkey FROM orders WHERE o_orderpriority IN ('1-URGENT', '2-HIGH') AND o_totalprice BETWEEN 1000 AND 50000"),
@@ -79,7 +79,7 @@ OPERATORS = {
     "op_o23_math": (lambda c: c.table("lineitem").select("l_orderkey", F.floor("l_quantity").alias("f"), F.pmod(F.col("l_orderkey"), F.lit(7)).alias("k")), "SELECT l_orderkey, floor(l_quantity)::BIGINT f, l_orderkey % 7 AS k FROM lineitem"),
     "op_o24_bits": (lambda c: c.table("orders").select("o_orderkey", F.shiftright("o_orderkey", 3).alias("r"), F.col("o_orderkey").bitwiseAND(5).alias("a"), F.bit_count("o_orderkey").alias("b")), "SELECT o_orderkey, o_orderkey >> 3 AS r, o_orderkey & 5 AS a, bit_count(o_orderkey)::INT b FROM orders"),
     "op_o25_json": (lambda c: c.table("events").select("event_id", F.from_json("props", "k int")["k"].alias("k")), "SELECT event_id, (props->>'k')::INT k FROM events"),
-    "op_o26_vectors": (lambda c: c.table("embeddings").select("vec_id", F.size("embedding").alias("n"), F.round(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x * x), 3).alias("norm2")), "SELECT vec_id, len(embedding)::INT n, round(list_sum(list_transform(embedding, x -> x::DOUBLE * x::DOUBLE)), 3) norm2 FROM embeddings"),
+    "op_o26_vectors": (lambda c: c.table("embeddings").select("vec_id", F.size("embedding").alias("n"), F.round(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double")), 3).alias("norm2")), "SELECT vec_id, len(embedding)::INT n, round(list_sum(list_transform(embedding, lambda x: x::DOUBLE * x::DOUBLE)), 3) norm2 FROM embeddings"),
     "op_o29_broadcast": (_joined("broadcast"), _JOINED),
     "op_o30_shuffle_hash": (_joined("shuffle_hash"), _JOINED),
     "op_o31_merge": (_joined("merge"), _JOINED),
