@@ -1,6 +1,6 @@
 """DuckDB SQL for the queries that SQL can express, from their definitions and not from their code."""
 
-_WORDS = r"list_filter(regexp_split_to_array(coalesce(text, ''), '[\x20\x09-\x0D]+'), x -> x <> '')"
+_WORDS = r"list_filter(regexp_split_to_array(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '')"
 
 OP2 = r"""
 WITH d AS (SELECT doc_id, encode(coalesce(text, '')) AS b FROM documents),
@@ -13,7 +13,7 @@ i AS (SELECT doc_id, p, sum(head::int) OVER (PARTITION BY doc_id ORDER BY p) AS
 s AS (SELECT doc_id, k, min(p) AS a, max(p) + 50 AS z FROM i GROUP BY doc_id, k),
 t AS (SELECT doc_id, count(*) AS spans, sum(z - a) AS gone, list(a ORDER BY a) AS starts, list(z ORDER BY a) AS ends FROM s GROUP BY doc_id),
 k AS (SELECT h.doc_id, h.n, t.spans, t.gone, CASE WHEN t.doc_id IS NULL THEN h.x ELSE
-  list_aggregate(list_transform(range(1, len(starts) + 2), j -> substr(h.x, 2 * (CASE WHEN j = 1 THEN 0 ELSE ends[j - 1] END) + 1,
+  list_aggregate(list_transform(range(1, len(starts) + 2), lambda j: substr(h.x, 2 * (CASE WHEN j = 1 THEN 0 ELSE ends[j - 1] END) + 1,
     2 * ((CASE WHEN j > len(starts) THEN h.n ELSE starts[j] END) - (CASE WHEN j = 1 THEN 0 ELSE ends[j - 1] END)))), 'string_agg', '') END AS left_hex
   FROM h LEFT JOIN t USING (doc_id))
 SELECT doc_id, n::BIGINT AS n_bytes, coalesce(gone, 0)::BIGINT AS n_removed, coalesce(spans, 0)::BIGINT AS n_spans, sha256(unhex(left_hex)) AS kept_sha256 FROM k
