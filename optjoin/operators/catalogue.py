@@ -49,8 +49,14 @@ def _joined(hint: str):
 
 
 _JOINED = "SELECT o_orderstatus, count(*) n FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY 1"
-_orders_w = Window.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey")
-_events_w = Window.partitionBy("user_id").orderBy("ts", "event_id")
+
+
+def _orders_w():
+    return Window.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey")
+
+
+def _events_w():
+    return Window.partitionBy("user_id").orderBy("ts", "event_id")
 
 
 def _properties(c: Catalog) -> DataFrame:
@@ -113,9 +119,9 @@ OPERATORS = {
     "op_o52_rollup": (lambda c: c.table("orders").rollup("o_orderstatus", "o_orderpriority").agg(F.count("*").alias("n")), "SELECT o_orderstatus, o_orderpriority, count(*) n FROM orders GROUP BY ROLLUP (o_orderstatus, o_orderpriority)"),
     "op_o53_having": (lambda c: c.table("orders").groupBy("o_custkey").agg(F.count("*").alias("n")).filter("n > 12"), "SELECT o_custkey, count(*) n FROM orders GROUP BY 1 HAVING count(*) > 12"),
     "op_o54_pivot": (lambda c: c.table("orders").groupBy("o_orderpriority").pivot("o_orderstatus", ["F", "O"]).count().na.fill(0), "SELECT o_orderpriority, count(*) FILTER (o_orderstatus = 'F') AS \"F\", count(*) FILTER (o_orderstatus = 'O') AS \"O\" FROM orders GROUP BY 1"),
-    "op_o55_rank": (lambda c: c.table("orders").select("o_orderkey", F.row_number().over(_orders_w).alias("rn"), F.ntile(4).over(_orders_w).alias("q")), "SELECT o_orderkey, row_number() OVER w::INT rn, ntile(4) OVER w::INT q FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey)".replace("row_number() OVER w::INT", "(row_number() OVER w)::INT").replace("ntile(4) OVER w::INT", "(ntile(4) OVER w)::INT")),
-    "op_o56_lag_lead": (lambda c: c.table("events").select("event_id", F.lag("event_id").over(_events_w).alias("before"), F.lead("event_id").over(_events_w).alias("later")), "SELECT event_id, lag(event_id) OVER w AS before, lead(event_id) OVER w AS later FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)"),
-    "op_o57_running": (lambda c: c.table("events").select("event_id", F.count("*").over(_events_w.rowsBetween(Window.unboundedPreceding, 0)).alias("n")), "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) n FROM events"),
+    "op_o55_rank": (lambda c: c.table("orders").select("o_orderkey", F.row_number().over(_orders_w()).alias("rn"), F.ntile(4).over(_orders_w()).alias("q")), "SELECT o_orderkey, row_number() OVER w::INT rn, ntile(4) OVER w::INT q FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey)".replace("row_number() OVER w::INT", "(row_number() OVER w)::INT").replace("ntile(4) OVER w::INT", "(ntile(4) OVER w)::INT")),
+    "op_o56_lag_lead": (lambda c: c.table("events").select("event_id", F.lag("event_id").over(_events_w()).alias("before"), F.lead("event_id").over(_events_w()).alias("later")), "SELECT event_id, lag(event_id) OVER w AS before, lead(event_id) OVER w AS later FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)"),
+    "op_o57_running": (lambda c: c.table("events").select("event_id", F.count("*").over(_events_w().rowsBetween(Window.unboundedPreceding, 0)).alias("n")), "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) n FROM events"),
     "op_o58_range": (
         lambda c: c.table("orders").withColumn("d", F.datediff(F.to_date("o_orderdate"), F.lit("1970-01-01"))).select("o_orderkey", F.count("*").over(Window.partitionBy("o_custkey").orderBy("d").rangeBetween(-30, 0)).alias("n")),
         "SELECT o_orderkey, count(*) OVER (PARTITION BY o_custkey ORDER BY datediff('day', DATE '1970-01-01', o_orderdate::DATE) RANGE BETWEEN 30 PRECEDING AND CURRENT ROW) n FROM orders",
