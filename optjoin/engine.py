@@ -411,7 +411,7 @@ def boolean_product(left: DataFrame, right: DataFrame, through: str, outer: bool
 def eliminate(frames: list[DataFrame], wanted: frozenset[str], mode: str = "exact") -> list[DataFrame]:
     """Drops unwanted variables one at a time: all holders are joined, projected and made distinct.
 
-    literal: pairwise products of neighbours through the variable, which loses correlations at hubs.
+    literal: pairwise products of the first holder with the others through the variable, which loses correlations at hubs.
     """
     frames = [f.distinct() for f in frames]
     while True:
@@ -422,7 +422,7 @@ def eliminate(frames: list[DataFrame], wanted: frozenset[str], mode: str = "exac
         holders = [f for f in frames if v in f.columns]
         rest = [f for f in frames if v not in f.columns]
         if mode == "literal" and len(holders) > 2:
-            made = [boolean_product(a, b, v) for a, b in zip(holders[:-1], holders[1:], strict=True)]
+            made = [boolean_product(holders[0], f, v) for f in holders[1:]]
         else:
             out = holders[0]
             for f in holders[1:]:
