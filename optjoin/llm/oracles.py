@@ -1,23 +1,8 @@
 """DuckDB SQL for the queries that SQL can express, from their definitions and not from their code."""
 
-_WORDS = r"list_filter(regexp_split_to_array(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '')"
+from .quality import RULES, STOP_WORDS
 
-OP2 = r"""
-WITH d AS (SELECT doc_id, encode(coalesce(text, '')) AS b FROM documents),
-h AS (SELECT doc_id, hex(b) AS x, octet_length(b) AS n FROM d),
-w AS (SELECT doc_id, p, substr(x, 2 * p + 1, 100) AS s FROM (SELECT doc_id, x, unnest(range(0, n - 49)) AS p FROM h)),
-m AS (SELECT s, min(doc_id) AS least FROM w GROUP BY s HAVING count(*) > 1),
-r AS (SELECT w.doc_id, w.p FROM w JOIN m USING (s) WHERE m.least < w.doc_id),
-g AS (SELECT doc_id, p, p > coalesce(lag(p) OVER (PARTITION BY doc_id ORDER BY p), -1000) + 50 AS head FROM r),
-i AS (SELECT doc_id, p, sum(head::int) OVER (PARTITION BY doc_id ORDER BY p) AS k FROM g),
-s AS (SELECT doc_id, k, min(p) AS a, max(p) + 50 AS z FROM i GROUP BY doc_id, k),
-t AS (SELECT doc_id, count(*) AS spans, sum(z - a) AS gone, list(a ORDER BY a) AS starts, list(z ORDER BY a) AS ends FROM s GROUP BY doc_id),
-k AS (SELECT h.doc_id, h.n, t.spans, t.gone, CASE WHEN t.doc_id IS NULL THEN h.x ELSE
-  list_aggregate(list_transform(range(1, len(starts) + 2), lambda j: substr(h.x, 2 * (CASE WHEN j = 1 THEN 0 ELSE ends[j - 1] END) + 1,
-    2 * ((CASE WHEN j > len(starts) THEN h.n ELSE starts[j] END) - (CASE WHEN j = 1 THEN 0 ELSE ends[j - 1] END)))), 'string_agg', '') END AS left_hex
-  FROM h LEFT JOIN t USING (doc_id))
-SELECT doc_id, n::BIGINT AS n_bytes, coalesce(gone, 0)::BIGINT AS n_removed, coalesce(spans, 0)::BIGINT AS n_spans, sha256(unhex(left_hex)) AS kept_sha256 FROM k
-"""
+_WORDS = r"list_filter(regexp_split_to_array(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '')"
 
 OP4 = rf"""
 WITH d AS (SELECT doc_id, {_WORDS} AS w FROM documents),
@@ -31,4 +16,24 @@ k AS (SELECT e.doc_id, count(*) FILTER (gone.i IS NOT NULL) AS n, coalesce(strin
 SELECT d.doc_id, len(d.w)::BIGINT AS n_words, coalesce(k.n, 0)::BIGINT AS n_removed, sha256(coalesce(k.kept, '')) AS kept_sha256 FROM d LEFT JOIN k USING (doc_id)
 """
 
-ORACLES: dict[str, str] = {"op2_suffix_array_dedup": OP2, "op4_substring_dedup": OP4}
+_STOPS = ", ".join(f"'{x}'" for x in sorted({*STOP_WORDS}))
+_VERDICT = " AND ".join(f"({r.denominator} = 0 OR ({r.numerator} >= {r.low}::DOUBLE * {r.denominator} AND {r.numerator} <= {r.high}::DOUBLE * {r.denominator}))" for r in RULES)
+
+OP7 = rf"""
+WITH d AS (SELECT doc_id, coalesce(text, '') AS text FROM documents),
+p AS (SELECT doc_id, text, {_WORDS} AS w, list_filter(string_split(text, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) AS l FROM d),
+v AS (SELECT doc_id, i, array_to_string(w[i:i + 7], ' ') AS s FROM (SELECT doc_id, w, unnest(range(1, len(w) - 6)) AS i FROM p)),
+r AS (SELECT doc_id, i FROM v QUALIFY count(*) OVER (PARTITION BY doc_id, s) > 1),
+c AS (SELECT doc_id, count(DISTINCT j) AS n FROM (SELECT doc_id, unnest(range(i, i + 8)) AS j FROM r) GROUP BY doc_id),
+m AS (SELECT p.doc_id, len(w)::BIGINT AS n_words, length(array_to_string(w, ''))::BIGINT AS word_chars,
+  length(regexp_replace(text, '[^#*$%&|<>]', '', 'g'))::BIGINT AS n_symbols, (len(l) - len(list_distinct(l)))::BIGINT AS n_dup_lines,
+  coalesce(c.n, 0)::BIGINT AS n_repeat_words, len(l) AS n_lines, len(list_filter(w, lambda x: x IN ({_STOPS}))) AS n_stop_words,
+  len(list_filter(w, lambda x: regexp_matches(x, '\p{{L}}'))) AS n_letter_words,
+  len(list_filter(l, lambda x: ends_with(x, '...') OR ends_with(x, '…'))) AS n_ellipsis_lines,
+  len(list_filter(l, lambda x: starts_with(x, '- ') OR starts_with(x, '* ') OR starts_with(x, '• '))) AS n_bullet_lines
+  FROM p LEFT JOIN c USING (doc_id)),
+b AS (SELECT *, n_words < 20 OR 100 * n_repeat_words > 30 * n_words AS base_failed FROM m)
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND {_VERDICT} AS kept FROM b
+"""
+
+ORACLES: dict[str, str] = {"op4_substring_dedup": OP4, "op7_quality_rules": OP7}
