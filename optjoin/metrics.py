@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from functools import reduce as fold
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
 from .algebra import Query, normal_form, patterns_of
@@ -39,6 +39,12 @@ def repair_report(catalog: Catalog, query: Query, **options) -> DataFrame:
     return trace.chain.agg(F.count("*").alias("chain_rows")).crossJoin(out.agg(F.count("*").alias("answers")))
 
 
+def observe(df: DataFrame, **measures: Column) -> tuple[DataFrame, Observation]:
+    """df with its rows, and these aggregates, counted in flight by the first action that reads it."""
+    seen = Observation()
+    return df.observe(seen, F.count(F.lit(1)).alias("rows"), *(c.alias(k) for k, c in measures.items())), seen
+
+
 def semijoin_count(catalog: Catalog, query: Query, **options) -> int:
     trace = Trace()
     run(catalog, query, trace, **options)

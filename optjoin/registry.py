@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from . import baselines, metrics, workloads
 from .engine import run
-from .operators import catalogue, graph
+from .operators import catalogue, graph, surface
 from .sources.tables import Catalog
 from .streaming import replay
 
@@ -62,6 +62,6 @@ _add("minimality_q1", lambda c: metrics.minimality(c, _W["q1"], sizes=_SIZES).fi
 _add("minimality_composite", lambda c: metrics.minimality(c, _W["composite_acyclic"]), "SELECT * FROM (VALUES ('P1', 0::BIGINT), ('P2', 0::BIGINT), ('P3', 0::BIGINT), ('P4', 0::BIGINT)) t(pattern, leftover)")
 _add("repair_report_two_class", lambda c: metrics.repair_report(c, _W["two_class"]))
 
-for _module in (graph, catalogue, replay):
+for _module in (graph, catalogue, surface, replay):
     for _name, (_query, _sql) in _module.OPERATORS.items():
         _add(_name, _query, _sql)
