@@ -9,6 +9,8 @@ from __future__ import annotations
 
 import base64
 import bisect
+import json
+import re
 import zlib
 from collections.abc import Callable, Iterator
 
@@ -28,17 +30,20 @@ PIECE = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long,
 class ByteBpe:
     """Ids of a byte-level BPE vocabulary in its `tokenizers` form, by the same vocabulary's ranks.
 
-    Texts are cut before a space that follows a character other than white space. No pre-token spans
-    such a place, so ids of the parts, which repeat and are remembered, join to the ids of the text.
+    Texts are split at the literals of added tokens, and the rest is cut before a space that follows a
+    character other than white space. No pre-token spans such a place, so ids of the parts, which repeat
+    and are remembered, join to the ids of the text.
     """
 
-    def __init__(self, ranks_path: str, pattern: str, cache: int = CACHE):
+    def __init__(self, ranks_path: str, pattern: str, cache: int = CACHE, added: dict[str, int] | None = None):
         import tiktoken
 
         with open(ranks_path, "rb") as lines:
             ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, lines)}
         self.encoding = tiktoken.Encoding("byte_bpe", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
         self.known = Remembered(lambda part: np.array(self.encoding.encode_ordinary(part), dtype="<u4").tobytes(), cache)
+        self.added = {t: np.array([i], dtype="<u4").tobytes() for t, i in (added or {}).items()}
+        self.literals = re.compile("(" + "|".join(map(re.escape, sorted(self.added, key=len, reverse=True))) + ")") if self.added else None
 
     @staticmethod
     def parts(text: str) -> list[str]:
@@ -55,7 +60,17 @@ class ByteBpe:
         return [*out, held] if held else out
 
     def encode(self, text: str) -> np.ndarray:
-        return np.frombuffer(b"".join(map(self.known.__getitem__, self.parts(text))) if text else b"", dtype="<u4")
+        pieces = self.literals.split(text) if self.literals else [text]
+        return np.frombuffer(b"".join(self.added[p] if i % 2 else b"".join(map(self.known.__getitem__, self.parts(p))) for i, p in enumerate(pieces) if p), dtype="<u4")
+
+
+def added_tokens(path: str) -> dict[str, int]:
+    """The literals that a vocabulary in `tokenizers` form takes out of a text as they stand, and their ids."""
+    with open(path, encoding="utf-8") as file:
+        found = json.load(file)["added_tokens"]
+    if any(t[flag] for t in found for flag in ("single_word", "lstrip", "rstrip", "normalized")):
+        raise ValueError("only added tokens that match literally are known")
+    return {t["content"]: t["id"] for t in found}
 
 
 def public_byte_bpe() -> ByteBpe:
@@ -63,7 +78,7 @@ def public_byte_bpe() -> ByteBpe:
     import public_tokenizers
 
     path = public_tokenizers.path("byte_bpe_50k.tiktoken")
-    return once(("byte_bpe", path), lambda: ByteBpe(path, public_tokenizers.PATTERN))
+    return once(("byte_bpe", path), lambda: ByteBpe(path, public_tokenizers.PATTERN, added=added_tokens(public_tokenizers.path("byte_bpe_50k.json"))))
 
 
 class OpenWindows:
