@@ -37,6 +37,12 @@ _add("bestmatch_sorted_two_class", lambda c: run(c, _W["two_class"], best_match=
 for _name in ("q1", "q1_low", "two_class", "nested6"):
     _add(f"baseline_nested_{_name}", lambda c, q=_W[_name]: baselines.nested(c, q), _S[_name])
     _add(f"baseline_reorder_repair_{_name}", lambda c, q=_W[_name]: baselines.reorder_then_repair(c, q), _S[_name])
+for _name in ("nested6_whole",):
+    _add(f"baseline_nested_{_name}", lambda c, q=_W[_name]: baselines.nested(c, q), _S[_name])
+    _add(f"baseline_reorder_repair_{_name}", lambda c, q=_W[_name]: baselines.reorder_then_repair(c, q), _S[_name])
+    _add(f"reduce_greedy_{_name}", lambda c, q=_W[_name]: run(c, q, reduce="greedy"), _S[_name])
+for _method in ("mask", "window"):
+    _add(f"bestmatch_{_method}_parent_linked_whole", lambda c, m=_method: run(c, _W["parent_linked_whole"], best_match=m), _S["parent_linked_whole"])
 for _name in ("q1", "q1_tail", "cyclic_core"):
     _add(f"baseline_variable_graph_{_name}", lambda c, q=_W[_name]: baselines.reduce_by_variable_graph(c, q), _S[_name])
     _add(f"baseline_sql_{_name}", lambda c, q=_W[_name]: baselines.translated(c, q), _S[_name])

@@ -2,7 +2,10 @@
 
 from __future__ import annotations
 
-from .algebra import Filter, Join, LeftJoin, Query, Union, block, pattern
+import re
+from dataclasses import replace
+
+from .algebra import Block, Filter, Join, LeftJoin, Query, Union, block, pattern
 
 LID = {"concat_ws(':', l_orderkey, l_linenumber, l_partkey, l_suppkey, l_shipdate, l_quantity)": "?l"}
 _LSQL = "concat_ws(':', l_orderkey, l_linenumber, l_partkey, l_suppkey, l_shipdate, l_quantity)"
@@ -178,5 +181,23 @@ _add(
     "v t",
     "SELECT v, turn t FROM (SELECT DISTINCT conv_id v FROM conversations) LEFT JOIN (SELECT * FROM conversations WHERE role = 'system') ON conv_id = v",
 )
+
+
+def _whole(node):
+    """The tree without bounds on c_custkey."""
+    if isinstance(node, Block):
+        return Block(tuple(replace(p, where=None) if re.fullmatch(r"c_custkey < \d+", p.where or "") else p for p in node.patterns))
+    return replace(node, left=_whole(node.left), right=_whole(node.right))
+
+
+#: The queries above that keep the first customers only, over whole tables.
+for _name, _sql in {
+    "nested6": SQL["nested6"].replace("c_custkey < 300 AND ", ""),
+    "parent_linked": """SELECT c_custkey c, o_orderkey o, x.event_id e, x.l_partkey p FROM customer JOIN orders ON o_custkey = c_custkey LEFT JOIN
+    (SELECT event_id, user_id, l_orderkey, l_partkey FROM events JOIN orders ON o_custkey = user_id JOIN lineitem ON l_orderkey = o_orderkey WHERE event_type = 'purchase' AND l_returnflag = 'R') x
+    ON x.user_id = c_custkey AND x.l_orderkey = o_orderkey""",
+    "union_subsumed_kept": "SELECT c_custkey c, NULL::BIGINT e FROM customer UNION ALL SELECT c_custkey, event_id FROM customer LEFT JOIN events ON user_id = c_custkey",
+}.items():
+    _add(f"{_name}_whole", _whole(QUERIES[_name].body), " ".join(QUERIES[_name].select), _sql, QUERIES[_name].distinct, **QUERIES[_name].options)
 #: Groupings of the first query that give other answers.
 _add("regroup_inner", _opt(block(pattern("T1", "customer", c_custkey="?c", c_nationkey=7)), block(O)), "c o", "SELECT c_custkey c, o_orderkey o FROM customer LEFT JOIN orders ON o_custkey = c_custkey WHERE c_nationkey = 7")
