@@ -7,6 +7,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..lineage import shared_dir
 from ..sources.tables import Catalog
 
 
@@ -63,6 +64,24 @@ def optional_stream(c: Catalog) -> DataFrame:
     return replay(c.spark, joined.select("event_id", "other_id", "ts"), "append").join(F.broadcast(ends), F.col("ts") < F.col("end")).select("event_id", "other_id")
 
 
+def optional_stream_whole(c: Catalog) -> DataFrame:
+    """All views with the purchases of the same user within an hour, both as streams.
+
+    Both sides end with a row far behind the last one, from a stream of its own. It moves the watermark past every hour, so all misses become final.
+    """
+    events = c.table("events")
+    base = shared_dir(c.spark)
+    folder = f"{base if ':' in base else 'file://' + base}/stream-end-{uuid.uuid4().hex}"
+    end = F.coalesce(F.max(F.col("ts").cast("timestamp")), F.lit(0).cast("timestamp")) + F.expr("INTERVAL 30 DAYS")
+    last = events.agg(end.alias("ts")).select("ts", F.lit(0).cast(events.schema["user_id"].dataType).alias("user_id"), F.explode(F.array(F.lit("view"), F.lit("purchase"))).alias("event_type"))
+    last.write.parquet(folder)
+    rows = events_stream(c).select("event_id", "user_id", "ts", "event_type").unionByName(c.spark.readStream.schema(last.schema).parquet(folder), allowMissingColumns=True)
+    side = lambda kind, id_, ts, user: rows.filter(F.col("event_type") == kind).select(F.col("event_id").alias(id_), F.col("ts").alias(ts), F.col("user_id").alias(user)).withWatermark(ts, "10 minutes")
+    near = F.expr("user_id = other_user AND other_ts > ts AND other_ts <= ts + INTERVAL 1 HOUR")
+    joined = side("view", "event_id", "ts", "user_id").join(side("purchase", "other_id", "other_ts", "other_user"), near, "left")
+    return replay(c.spark, joined.select("event_id", "other_id"), "append").filter("event_id is not null")
+
+
 def distinct_users(c: Catalog) -> DataFrame:
     s = events_stream(c).withWatermark("ts", "36500 days").dropDuplicatesWithinWatermark(["user_id", "event_type"]).select("user_id", "event_type")
     return replay(c.spark, s, "append")
@@ -83,5 +102,10 @@ OPERATORS = {
         ON v.user_id = p.user_id AND p.ts > v.ts AND p.ts <= v.ts + INTERVAL 1 HOUR
         WHERE v.ts < (SELECT min(m) FROM (SELECT max(ts) m FROM events WHERE event_type IN ('view', 'purchase') GROUP BY event_type)) - INTERVAL 1 DAY""",
     ),
+    "stream_o78_optional_whole": (
+        optional_stream_whole,
+        """SELECT v.event_id, p.event_id AS other_id FROM (SELECT * FROM events WHERE event_type = 'view') v LEFT JOIN (SELECT * FROM events WHERE event_type = 'purchase') p
+        ON v.user_id = p.user_id AND p.ts > v.ts AND p.ts <= v.ts + INTERVAL 1 HOUR""",
+    ),
     "stream_o79_distinct": (distinct_users, "SELECT DISTINCT user_id, event_type FROM events"),
 }
