@@ -96,7 +96,7 @@ def bits_and(c: Catalog) -> DataFrame:
 
 
 def dictionary(c: Catalog) -> DataFrame:
-    """Ids by class: values that are subject and object come first, then those of one side; dense by range partitions."""
+    """Terms of three tables by class: subject and object, or one side. It gives no ids."""
     t = triples(c, ["nation", "customer", "region"])
     s, o = t.select(F.col("s").alias("term")).distinct().withColumn("is_s", F.lit(1)), t.select(F.col("o").alias("term")).distinct().withColumn("is_o", F.lit(1))
     both = s.join(o, "term", "full").select("term", F.when(F.col("is_s").isNull(), "o").when(F.col("is_o").isNull(), "s").otherwise("so").alias("dim"))
