@@ -318,14 +318,15 @@ def covered(shard: sh.Shard, found: _Found, texts: _Texts, got: pa.Table | None,
     return np.cumsum(change[:-1], dtype=np.int32) > 0
 
 
-def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = LENGTH, shingle: int = SHINGLE, keep: Iterable[str] = (), shard_bytes: int = sh.SHARD_BYTES) -> DataFrame:
+def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = LENGTH, shingle: int = SHINGLE, keep: Iterable[str] = (), shard_bytes: int = sh.SHARD_BYTES, characters: bool = False) -> DataFrame:
     """Without every byte that a string of `length` bytes covers which also starts in a smaller document.
 
     Returns per row: the id, n_bytes, n_removed, n_spans (maximal removed runs), kept (the remaining
     bytes), and the columns of `keep`. Strings are judged on the input; matches never cross documents.
     A null text is empty; a null id counts as larger than all others; rows that share an id count as
     one document, so they don't remove each other's text; texts shorter than `length` stay whole; an
-    empty table gives no rows. Columns other than those named are ignored.
+    empty table gives no rows. Columns other than those named are ignored. With `characters`, removed runs
+    are widened to whole characters.
     """
     if not 0 < shingle <= length < 1000:
         raise ValueError("0 < shingle <= length < 1000 must hold")
@@ -346,6 +347,11 @@ def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     def finish(_: int, s: sh.Shard, got: pa.Table | None) -> pa.Table:
         runs = _Found(s, length, shingle)
         gone = covered(s, runs, _Texts(s, runs, got, length), got, length)
+        if characters and len(gone):
+            head = (s.flat & 0xC0) != 0x80
+            head[s.offsets[:-1][s.offsets[:-1] < len(gone)]] = True
+            at = np.flatnonzero(head)
+            gone = np.repeat(np.logical_or.reduceat(gone, at), np.diff(at, append=len(gone)))
         total = np.zeros(len(gone) + 1, np.int64)
         np.cumsum(gone, out=total[1:])
         begins = gone.copy()
