@@ -40,8 +40,8 @@ def key(i):
     return LAST if i is None else i
 
 
-@pytest.mark.parametrize("shard_bytes", [1 << 22, 3000])
-def test_suffix_dedup(spark, shard_bytes):
+@pytest.mark.parametrize(("shard_bytes", "hot"), [(1 << 22, 4096), (3000, 4096), (3000, 3), (3000, 0)])
+def test_suffix_dedup(spark, shard_bytes, hot):
     data, size = rows(1), 50
     first = {}
     for d, t in data:
@@ -57,7 +57,7 @@ def test_suffix_dedup(spark, shard_bytes):
                 gone[i : i + size] = [True] * size
         spans = sum(g and not (i and gone[i - 1]) for i, g in enumerate(gone))
         want.append((d, len(b), sum(gone), spans, hashlib.sha256(bytes(x for x, g in zip(b, gone, strict=True) if not g)).hexdigest()))
-    got = [(r.doc_id, r.n_bytes, r.n_removed, r.n_spans, hashlib.sha256(r.kept).hexdigest()) for r in remove_repeats(frame(spark, data), shard_bytes=shard_bytes).collect()]
+    got = [(r.doc_id, r.n_bytes, r.n_removed, r.n_spans, hashlib.sha256(r.kept).hexdigest()) for r in remove_repeats(frame(spark, data), shard_bytes=shard_bytes, hot=hot).collect()]
     assert sorted(got, key=str) == sorted(want, key=str)
     assert sum(x[2] for x in got) > 0
 
