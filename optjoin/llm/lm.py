@@ -20,36 +20,49 @@ from .rolling import U, mix, stream
 from .substring_dedup import Words
 
 ORDER, ALPHA = 3, 0.4
+LM_SHARD = 2 * sh.SHARD_BYTES  # the more text in a shard, the fewer distinct n-grams a byte of it sends
 
 
 class NGrams:
-    """The n-grams of a shard: their places, distinct hashes and counts."""
+    """The n-grams of a shard: for each order their places, which distinct one each is, and how often its own document has it."""
 
     def __init__(self, shard: sh.Shard, order: int):
-        self.words = w = Words(shard.flat, shard.offsets)
-        n = len(w.first)
-        self.doc_end = np.repeat(w.offsets[1:], np.diff(w.offsets))
-        self.doc = np.repeat(np.arange(len(shard)), np.diff(w.offsets))
+        words = Words(shard.flat, shard.offsets, seeds=(21,))
+        token, self.offsets = words.first, words.offsets
+        del words
+        self.total = n = len(token)
+        per_doc = np.diff(self.offsets)
+        self.doc = np.repeat(np.arange(len(shard), dtype=np.int32), per_doc)
+        end = np.repeat(self.offsets[1:], per_doc)
         key = np.full(n, stream(1, 60)[0])
-        self.keys, self.at = [], []
+        self.at, self.which, self.own, keys, counts = [], [], [], [], []
         for size in range(1, order + 1):
-            key = mix(key[: max(0, n - size + 1)] * U(0x9E3779B97F4A7C15) + w.first[size - 1 :] if n >= size else key[:0])
-            at = np.flatnonzero(np.arange(len(key)) + size <= self.doc_end[: len(key)])
+            key = mix(key[: max(0, n - size + 1)] * U(0x9E3779B97F4A7C15) + token[size - 1 :] if n >= size else key[:0])
+            at = np.flatnonzero(np.arange(len(key)) + size <= end[: len(key)]).astype(np.int32 if n < 1 << 31 else np.int64)
+            order_ = np.argsort(key[at], kind="stable")  # documents ascend under each key
+            every, doc = key[at][order_], self.doc[at][order_]
+            head = sh.first_of_runs(every)
+            first = np.flatnonzero(head)
+            keys.append(every[first])
+            counts.append(np.diff(first, append=len(every)).astype(np.uint32))
+            which, own = np.empty(len(every), np.int32), np.empty(len(every), np.int32)
+            which[order_] = np.cumsum(head) - 1
+            own_first = np.flatnonzero(head | sh.first_of_runs(doc))
+            own_size = np.diff(own_first, append=len(every)).astype(np.int32)
+            own[order_] = np.repeat(own_size, own_size)
             self.at.append(at)
-            self.keys.append(key[at])
-        every, doc = np.concatenate(self.keys), self.doc[np.concatenate(self.at)] if n else np.zeros(0, np.int64)
-        order_ = np.lexsort((doc, every))
-        every, doc = every[order_], doc[order_]
-        head = sh.first_of_runs(every)
-        first = np.flatnonzero(head)
-        self.distinct, self.count = every[first], np.diff(first, append=len(every))
-        own_head = head.copy()
-        own_head[1:] |= doc[1:] != doc[:-1]
-        own = np.flatnonzero(own_head)
-        own_size = np.diff(own, append=len(every))
-        self.which, self.own = np.empty(len(every), np.int64), np.empty(len(every), np.int64)
-        self.which[order_] = np.cumsum(head) - 1
-        self.own[order_] = np.repeat(own_size, own_size)
+            self.which.append(which)
+            self.own.append(own)
+        # One ascending list of the distinct n-grams of all orders.
+        every = np.concatenate(keys)
+        merge = np.argsort(every, kind="stable")
+        self.distinct, self.count = every[merge], np.concatenate(counts)[merge]
+        rank = np.empty(len(every), np.int32)
+        rank[merge] = np.arange(len(every))
+        base = 0
+        for i, k in enumerate(keys):
+            self.which[i] = rank[base : base + len(k)][self.which[i]]
+            base += len(k)
 
 
 EMPTY = U(0)  # the key of the empty n-gram
@@ -57,38 +70,35 @@ EMPTY = U(0)  # the key of the empty n-gram
 
 def count_messages(grams: NGrams, buckets: int) -> Iterable[tuple[int, bytes]]:
     keys = np.concatenate([[EMPTY], grams.distinct]).astype(np.uint64)
-    counts = np.concatenate([[len(grams.words.first)], grams.count]).astype(np.uint32)
+    counts = np.concatenate([[grams.total], grams.count]).astype(np.uint32)
     for bucket, part in sh.cut_by_bucket(keys, buckets):
-        yield bucket, sh.frames(sh.pack_sorted(keys[part]), sh.squeeze(counts[part].tobytes()))
+        yield bucket, sh.frames(sh.pack_sorted(keys[part]), sh.pack_planes(counts[part], 3))
 
 
 def add_counts(bodies: list[bytes]) -> list[bytes]:
     parts = [sh.unframes(x) for x in bodies]
     keys = [sh.unpack_sorted(p[0]) for p in parts]
-    counts = np.concatenate([np.frombuffer(sh.unsqueeze(p[1]), np.uint32) for p in parts]).astype(np.int64)
+    counts = np.concatenate([sh.unpack_planes(p[1], np.uint32) for p in parts])
     cuts = np.cumsum([len(k) for k in keys])[:-1]
     every = np.concatenate(keys)
     order = np.argsort(every, kind="stable")
     head = np.flatnonzero(sh.first_of_runs(every[order]))
     total = np.empty(len(every), np.int64)
-    total[order] = np.repeat(np.add.reduceat(counts[order], head), np.diff(head, append=len(every)))
-    return [sh.squeeze(np.ascontiguousarray(x.view(np.uint8).reshape(-1, 8).T).data) for x in np.split(total, cuts)]
+    total[order] = np.repeat(np.add.reduceat(counts[order], head, dtype=np.int64), np.diff(head, append=len(every)))
+    return [sh.pack_planes(x, 3) for x in np.split(total, cuts)]
 
 
 def log_scores(grams: NGrams, totals: np.ndarray, order: int, alpha: float) -> np.ndarray:
     """The logarithm of each word's score; totals: the corpus count of each distinct n-gram, the empty one first."""
-    n = len(grams.words.first)
-    left = (totals[1:][grams.which] - grams.own).astype(np.float64)
-    words_of = np.diff(grams.words.offsets)
-    context = np.maximum(totals[0] - words_of[grams.doc], 1).astype(np.float64) if n else np.zeros(0)
-    score, lo = np.zeros(n), 0
-    counts = context
+    n = grams.total
+    words_of = np.diff(grams.offsets)
+    counts = np.maximum(totals[0] - words_of[grams.doc], 1).astype(np.float64) if n else np.zeros(0)
+    score = np.zeros(n)
     for size in range(1, order + 1):
         at = grams.at[size - 1]
         own = np.zeros(n)
-        own[at] = left[lo : lo + len(at)]
-        lo += len(at)
-        last = at + size - 1
+        own[at] = totals[1:][grams.which[size - 1]] - grams.own[size - 1]
+        last = at + (size - 1)
         if size == 1:
             score = np.maximum(own, 0.5) / counts
         else:
@@ -98,7 +108,7 @@ def log_scores(grams: NGrams, totals: np.ndarray, order: int, alpha: float) -> n
     return np.log(score)
 
 
-def score_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", order: int = ORDER, alpha: float = ALPHA, shard_bytes: int = sh.SHARD_BYTES) -> DataFrame:
+def score_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", order: int = ORDER, alpha: float = ALPHA, shard_bytes: int = LM_SHARD) -> DataFrame:
     """(id, n_words, log_score, perplexity) of every row.
 
     A word's score is the relative frequency of the longest n-gram that ends in it and is found in
@@ -111,16 +121,16 @@ def score_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         raise ValueError("order must be at least 1")
     size = sh.text_bytes(docs, text_col)
     number = max(1, size // shard_bytes)
-    parts = sh.shard(docs, id_col, text_col, number)
-    buckets = max(1, order * size // (3 * shard_bytes))
+    parts = sh.shard(docs, id_col, text_col, number, level=3)
+    buckets = max(1, 2 * order * size // (3 * shard_bytes))
     counts = sh.answer(sh.send(parts, None, lambda s, _: count_messages(NGrams(s, order), buckets), 1), add_counts, 1)
 
     def finish(_: int, s: sh.Shard, got: pa.Table | None) -> pa.Table:
         grams = NGrams(s, order)
-        totals = np.concatenate([np.ascontiguousarray(np.frombuffer(sh.unsqueeze(x), np.uint8).reshape(8, -1).T).view(np.int64).ravel() for x in sh.replies_of(got, 1)])
+        totals = np.concatenate([sh.unpack_planes(x, np.int64) for x in sh.replies_of(got, 1)])
         scores = log_scores(grams, totals, order, alpha)
-        n = np.diff(grams.words.offsets)
-        per_doc = np.array([scores[a:b].sum() for a, b in zip(grams.words.offsets[:-1], grams.words.offsets[1:], strict=True)])
+        n = np.diff(grams.offsets)
+        per_doc = np.array([scores[a:b].sum() for a, b in zip(grams.offsets[:-1], grams.offsets[1:], strict=True)])
         perplexity = pa.array(np.exp(-per_doc / np.maximum(n, 1)), mask=n == 0)
         return pa.table({"id": s.kept()["id"], "n_words": n.astype(np.int64), "log_score": per_doc.astype(np.float64), "perplexity": perplexity})
 

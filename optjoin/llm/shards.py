@@ -41,6 +41,16 @@ def pack_sorted(values: np.ndarray) -> bytes:
     return squeeze(np.ascontiguousarray(gaps.view(np.uint8).reshape(-1, 8).T).data)
 
 
+def pack_planes(values: np.ndarray, level: int = 1) -> bytes:
+    """Integers as byte planes."""
+    return squeeze(np.ascontiguousarray(values.view(np.uint8).reshape(-1, values.itemsize).T).data, level)
+
+
+def unpack_planes(data: bytes, kind: type) -> np.ndarray:
+    planes = np.frombuffer(unsqueeze(data), dtype=np.uint8).reshape(np.dtype(kind).itemsize, -1)
+    return np.ascontiguousarray(planes.T).view(kind).ravel()
+
+
 def unpack_sorted(data: bytes) -> np.ndarray:
     planes = np.frombuffer(unsqueeze(data), dtype=np.uint8).reshape(8, -1)
     return np.cumsum(np.ascontiguousarray(planes.T).view(np.uint64).ravel(), dtype=np.uint64)
@@ -81,7 +91,7 @@ def text_bytes(docs: DataFrame, text: str) -> int:
     return int(docs.agg(F.sum(F.octet_length(F.col(text).cast("string")))).first()[0] or 0)
 
 
-def shard(docs: DataFrame, id_col: str, text_col: str, shards: int, keep: Iterable[str] = ()) -> DataFrame:
+def shard(docs: DataFrame, id_col: str, text_col: str, shards: int, keep: Iterable[str] = (), level: int = 1) -> DataFrame:
     """Rows (src, body): the id, the text and the kept columns of a few documents of one shard.
 
     Columns are renamed to id, text, k0, k1 and so on, so names can't clash.
@@ -105,7 +115,7 @@ def shard(docs: DataFrame, id_col: str, text_col: str, shards: int, keep: Iterab
                 sink = pa.BufferOutputStream()
                 with pa.ipc.new_stream(sink, table.schema) as out:
                     out.write_table(table.slice(a, b - a).combine_chunks())
-                bodies.append(squeeze(sink.getvalue()))
+                bodies.append(squeeze(sink.getvalue(), level))
             return pa.RecordBatch.from_arrays([pa.array(src[order][cuts], pa.int32()), pa.array(bodies, pa.binary())], ["src", "body"])
 
         for batch in batches:

@@ -25,9 +25,9 @@ SLOTS_PER_KEY = 8
 
 
 class Words:
-    """The words of a shard's documents: byte spans, two independent hashes, and each document's range."""
+    """The words of a shard's documents: byte spans, independent hashes (two, or one for each seed), and each document's range."""
 
-    def __init__(self, flat: np.ndarray, offsets: np.ndarray):
+    def __init__(self, flat: np.ndarray, offsets: np.ndarray, seeds: tuple[int, ...] = (21, 22)):
         parts = []
         lo, n = 0, len(flat)
         inner = offsets[1:-1]
@@ -36,9 +36,11 @@ class Words:
             part = flat[lo:hi]
             start, end = word_bounds(part)
             start, end = self._split(start, end, inner[(inner > lo) & (inner < hi)] - lo)
-            parts.append((start + lo, end + lo, *(mix(PrefixHash(part, s).spans(start, end)) for s in (21, 22))))
+            parts.append((start + lo, end + lo, *(mix(PrefixHash(part, s).spans(start, end)) for s in seeds)))
             lo = hi
-        self.start, self.end, self.first, self.second = (np.concatenate(x) for x in zip(*parts, strict=True)) if parts else (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint64), np.zeros(0, np.uint64))
+        none = np.zeros(0, np.int64), np.zeros(0, np.int64), *(np.zeros(0, np.uint64) for _ in seeds)
+        self.start, self.end, self.first, *rest = (np.concatenate(x) for x in zip(*parts, strict=True)) if parts else none
+        self.second = rest[0] if rest else None
         self.offsets = np.searchsorted(self.start, offsets)
 
     @staticmethod
