@@ -193,6 +193,30 @@ class _Flow:
         self.now.append(text)
 
 
+def _number(text: str | None, most: int) -> int:
+    """A span attribute; 1 where it is missing or no number."""
+    text = (text or "").strip()
+    return min(int(text), most) if text.isascii() and text.isdecimal() else 1
+
+
+def _placed(rows: list[list[tuple[list[str], int, int]]]) -> list[list[tuple[list[str], int]]]:
+    """The cells (lines, columns) of each row, with empty ones where a cell of a row above reaches down; 0 rows: to the last."""
+    out, below = [], []  # below: how many rows each column is still taken, this one included
+    for i, row in enumerate(rows):
+        placed, col = [], 0
+        for lines, span, down in row:
+            while col < len(below) and below[col]:
+                placed.append(([], 1))
+                col += 1
+            placed.append((lines, span))
+            below += [0] * (col + span - len(below))
+            below[col : col + span] = [min(down or len(rows), len(rows) - i)] * span
+            col += span
+        out.append(placed)
+        below = [max(0, x - 1) for x in below]
+    return out
+
+
 def width(text: str) -> int:
     """Columns of a text: wide characters take two, combining ones none."""
     return len(text) if text.isascii() else sum(0 if unicodedata.combining(c) else 1 + (unicodedata.east_asian_width(c) in "WF") for c in text)
@@ -204,7 +228,7 @@ class Renderer:
         self.hidden = 0
         self.stack: list[tuple[str, bool]] = []
         self.lists: list[list] = []
-        self.tables: list[list[list[tuple[list[str], int]]]] = []
+        self.tables: list[list[list[tuple[list[str], int, int]]]] = []
         self.indent = 0
         self.pre = 0
 
@@ -218,11 +242,10 @@ class Renderer:
             return
         flow = self.flows[-1]
         if name in ("td", "th") and self.tables:
-            span = attrs.get("colspan", "1")
             self.flows.append(_Flow())
             if not self.tables[-1]:
                 self.tables[-1].append([])
-            self.tables[-1][-1].append(([], min(int(span), 1000) if span.isdecimal() and int(span) else 1))
+            self.tables[-1][-1].append(([], _number(attrs.get("colspan"), 1000) or 1, _number(attrs.get("rowspan"), 65534)))
             return
         if name == "tr" and self.tables:
             self.tables[-1].append([])
@@ -310,8 +333,8 @@ class Renderer:
         flow.put(" ".join(words), indent)
         flow.space = data[-1] in " \t\n\r\f"
 
-    def _lay_out(self, rows: list[list[tuple[list[str], int]]]) -> None:
-        flow, widths = self.flows[-1], []
+    def _lay_out(self, cells: list[list[tuple[list[str], int, int]]]) -> None:
+        flow, widths, rows = self.flows[-1], [], _placed(cells)
         for row in rows:
             col = 0
             for lines, span in row:
@@ -319,6 +342,13 @@ class Renderer:
                 if span == 1:
                     widths[col] = max(widths[col], max(map(width, lines), default=0))
                 col += span
+        for row in rows:  # a cell over several columns that is wider than they are widens the last
+            col = 0
+            for lines, span in row:
+                if span > 1:
+                    room = sum(widths[col : col + span]) + 2 * (span - 1)
+                    widths[col + span - 1] += max(0, max(map(width, lines), default=0) - room)
+                col += span
         flow.break_line()
         for row in rows:
             for k in range(max((len(lines) for lines, _ in row), default=0)):

@@ -1,8 +1,9 @@
 """A deterministic sharded WARC writer, and its reader.
 
-Records are sorted by id over range partitions. Each task writes gzip members, one per record, rolls
-its file by compressed size, and makes every header and digest anew from the payload. A file is
-written under a temporary name of its attempt and renamed to one that holds the digest of its
+Records are sorted by id over ranges of ids. The ranges follow from the ids and the payload sizes alone,
+so equal tables give equal archives, whatever the cluster. Each range is written as gzip members, one
+per record, in files rolled by compressed size, with every header and digest made anew from the payload.
+A file is written under a temporary name of its attempt and renamed to one that holds the digest of its
 contents; it counts only once the manifest names it, so repeated and abandoned attempts do no harm.
 """
 
@@ -15,15 +16,17 @@ import uuid
 import zlib
 from collections.abc import Iterator
 
+import numpy as np
+import pandas as pd
 import pyarrow as pa
 import pyarrow.fs
-from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .session import cut
 
 ROLL_BYTES, DATE = 64 << 20, "2000-01-01T00:00:00Z"
+RANGE_BYTES, MOST_RANGES, SAMPLES = 16 << 20, 1 << 14, 64
 MANIFEST = "file string, records long, bytes long, sha1 string"
 RECORD = "page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long, payload binary"
 _NAMESPACE = uuid.UUID("6f2b7a5e-94f4-5b0e-9d54-3a1f6f1f0c11")
@@ -40,11 +43,12 @@ def _clean(url: str | None, key: int | None) -> str:
     return re.sub(r"[\x00-\x20\x7f]", lambda m: f"%{ord(m[0]):02X}", url)
 
 
-def record_id(key: int | None, digest: str) -> str:
-    return f"<urn:uuid:{uuid.uuid5(_NAMESPACE, f'{key} {digest}')}>"
+def record_id(key: int | None, digest: str, copy: int = 0) -> str:
+    """The identity of a record; rows that share an id and a payload are told apart by their number."""
+    return f"<urn:uuid:{uuid.uuid5(_NAMESPACE, f'{key} {digest} {copy}' if copy else f'{key} {digest}')}>"
 
 
-def record(key: int | None, url: str | None, payload: bytes, refers_to: int | None, date: str = DATE) -> bytes:
+def record(key: int | None, url: str | None, payload: bytes, refers_to: int | None, date: str = DATE, copy: int = 0) -> bytes:
     """One record: a response with its HTTP block, or a revisit with the HTTP header alone."""
     digest = digest32(payload)
     http = f"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: {len(payload)}\r\n\r\n".encode()
@@ -52,7 +56,7 @@ def record(key: int | None, url: str | None, payload: bytes, refers_to: int | No
     head = [
         "WARC/1.1",
         f"WARC-Type: {'response' if refers_to is None else 'revisit'}",
-        f"WARC-Record-ID: {record_id(key, digest)}",
+        f"WARC-Record-ID: {record_id(key, digest, copy)}",
         f"WARC-Date: {date}",
         f"WARC-Target-URI: {_clean(url, key)}",
         f"WARC-Payload-Digest: sha1:{digest}",
@@ -68,18 +72,18 @@ def record(key: int | None, url: str | None, payload: bytes, refers_to: int | No
 
 
 class _Files:
-    """Rolls, names and commits the files of one task."""
+    """Rolls, names and commits the files of one range of ids."""
 
-    def __init__(self, folder: str, task: int, roll_bytes: int):
+    def __init__(self, folder: str, number: int, roll_bytes: int):
         self.fs, self.folder = pa.fs.FileSystem.from_uri(folder)
-        self.task, self.roll_bytes, self.number, self.out = task, roll_bytes, 0, None
+        self.range, self.roll_bytes, self.number, self.out = number, roll_bytes, 0, None
         self.done: list[tuple[str, int, int, str]] = []
 
     def add(self, data: bytes) -> None:
         gz = zlib.compressobj(6, zlib.DEFLATED, 31)
         member = gz.compress(data) + gz.flush()
         if self.out is None:
-            self.name = f"{self.folder}/_temporary-{self.task:06d}-{self.number:05d}-{uuid.uuid4().hex}"
+            self.name = f"{self.folder}/_temporary-{self.range:06d}-{self.number:05d}-{uuid.uuid4().hex}"
             self.out, self.records, self.size, self.sha1 = self.fs.open_output_stream(self.name, compression=None), 0, 0, hashlib.sha1()
         self.out.write(member)
         self.sha1.update(member)
@@ -91,7 +95,7 @@ class _Files:
     def close(self) -> None:
         if self.out is not None:
             self.out.close()
-            final = f"{self.task:06d}-{self.number:05d}-{self.sha1.hexdigest()[:16]}.warc.gz"
+            final = f"{self.range:06d}-{self.number:05d}-{self.sha1.hexdigest()[:16]}.warc.gz"
             self.fs.move(self.name, f"{self.folder}/{final}")
             self.done.append((final, self.records, self.size, self.sha1.hexdigest()))
             self.out, self.number = None, self.number + 1
@@ -106,13 +110,33 @@ def revisits(pages: DataFrame, id_col: str, payload_col: str, min_bytes: int = 0
     return keys.join(least, "sha1").filter("id is null or id > first").select("id", "sha1", "first").distinct()
 
 
-def write_warc(pages: DataFrame, folder: str, id_col: str = "page_id", url_col: str = "url", payload_col: str = "html", min_bytes: int = 0, roll_bytes: int = ROLL_BYTES) -> DataFrame:
+def id_ranges(pages: DataFrame, id_col: str, payload_col: str, range_bytes: int = RANGE_BYTES) -> np.ndarray:
+    """The first id of each range but the first, for ranges of about range_bytes of payload; at most MOST_RANGES ranges.
+
+    Bounds are quantiles, by bytes, of the ids that a hash of the id chooses, some SAMPLES for a range (all ids
+    where there are fewer): a function of the table, not of its partitions. Only they reach the driver.
+    """
+    key, size = F.col(f"`{id_col}`").cast("long"), F.octet_length(F.col(f"`{payload_col}`").cast("string"))
+    sizes = pages.select(key.alias("id"), (F.coalesce(size, F.lit(0)) + 200).cast("long").alias("n")).filter("id is not null")
+    rows, total = sizes.agg(F.count("*"), F.sum("n")).first()
+    ranges = min(MOST_RANGES, (total or 0) // range_bytes + 1)
+    if ranges == 1:
+        return np.zeros(0, np.int64)
+    every = max(1, rows // (SAMPLES * ranges))
+    chosen = sizes.filter(F.pmod(F.xxhash64("id"), F.lit(every)) == 0).groupBy("id").agg(F.sum("n").alias("n")).toArrow().sort_by("id")
+    ids, upto = chosen["id"].to_numpy(), np.cumsum(chosen["n"].to_numpy())
+    at = np.searchsorted(upto, upto[-1] * np.arange(1, ranges) / ranges) if len(ids) else np.zeros(0, np.int64)
+    return np.unique(ids[at])
+
+
+def write_warc(pages: DataFrame, folder: str, id_col: str = "page_id", url_col: str = "url", payload_col: str = "html", min_bytes: int = 0, roll_bytes: int = ROLL_BYTES, range_bytes: int = RANGE_BYTES) -> DataFrame:
     """Writes a record per row into `folder` (a URI all executors reach) and returns the manifest.
 
     Of equal payloads of at least min_bytes, the smallest id's is a response and the others revisit
-    it; rows that share an id and a payload are both responses. A null payload is empty; a null id
-    sorts first, and such a row revisits if an id has its payload; a null URL gets a URN. An empty
-    table writes nothing. The manifest is stored beside the files, as Parquet.
+    it; rows that share an id and a payload are both responses, with record ids of their own. A null
+    payload is empty; a null id sorts first, and such a row revisits if an id has its payload; a null URL
+    gets a URN. An empty table writes nothing. The manifest is stored beside the files, as Parquet.
+    Equal tables give files of equal names and contents, however they are partitioned.
     """
     spark = pages.sparkSession
     hadoop = spark._jvm.org.apache.hadoop.fs.Path(folder)
@@ -122,25 +146,43 @@ def write_warc(pages: DataFrame, folder: str, id_col: str = "page_id", url_col:
     known = revisits(pages, id_col, payload_col, min_bytes).select("id", F.lit(None).cast("string").alias("url"), F.lit(None).cast("string").alias("payload"), "sha1", "first", F.lit(0).alias("kind"))
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        files = _Files(folder, TaskContext.get().partitionId(), roll_bytes)
-        now, firsts = object(), {}
+        files: _Files | None = None
+        done: list[tuple[str, int, int, str]] = []
+        now, firsts, last, copy = object(), {}, None, 0
         for batch in batches:
             for lo in range(0, batch.num_rows, 256):
                 part = batch.slice(lo, 256)
-                for key, url, text, sha1, first, kind in zip(*(c.to_pylist() for c in part.columns), strict=True):
+                for key, url, text, sha1, first, kind, number in zip(*(c.to_pylist() for c in part.columns), strict=True):
+                    if files is None or files.range != number:
+                        if files is not None:
+                            files.close()
+                            done += files.done
+                        files, now = _Files(folder, number, roll_bytes), object()
                     if key != now:
-                        now, firsts = key, {}
+                        now, firsts, last = key, {}, None
                     if kind == 0:
                         firsts[sha1] = first
                         continue
                     payload = (text or "").encode()
+                    copy = copy + 1 if payload == last else 0  # equal payloads of an id stand together
+                    last = payload
                     refers = firsts.get(hashlib.sha1(payload).hexdigest()) if firsts else None
-                    files.add(record(key, url, payload, refers))
-        files.close()
-        if files.done:
-            yield pa.RecordBatch.from_arrays([pa.array(x) for x in zip(*files.done, strict=True)], ["file", "records", "bytes", "sha1"])
-
-    ordered = rows.unionByName(known).repartitionByRange("id").sortWithinPartitions("id", "kind", "payload", "url")
+                    files.add(record(key, url, payload, refers, copy=copy))
+        if files is not None:
+            files.close()
+            done += files.done
+        if done:
+            yield pa.RecordBatch.from_arrays([pa.array(x) for x in zip(*done, strict=True)], ["file", "records", "bytes", "sha1"])
+
+    bounds = id_ranges(pages, id_col, payload_col, range_bytes)
+
+    @F.pandas_udf("int")
+    def range_of(ids: pd.Series) -> pd.Series:
+        return pd.Series(np.searchsorted(bounds, ids.to_numpy(np.int64), side="right").astype(np.int32))
+
+    number = F.when(F.col("id").isNull(), 0).otherwise(range_of(F.coalesce("id", F.lit(0))))
+    every = rows.unionByName(known).withColumn("range", number if len(bounds) else F.lit(0))
+    ordered = every.repartition(len(bounds) + 1, "range").sortWithinPartitions("range", "id", "kind", F.coalesce("payload", F.lit("")), "url")
     ordered.mapInArrow(work, MANIFEST).write.mode("overwrite").parquet(f"{folder}/manifest")
     return spark.read.parquet(f"{folder}/manifest")
 
@@ -169,7 +211,7 @@ def parse_records(read) -> Iterator[tuple[dict[str, str], bytes]]:
 
 
 def read_warc(manifest: DataFrame, folder: str, payloads: bool = False) -> DataFrame:
-    """A row per record of the files that the manifest names; every digest is checked."""
+    """A row per record of the files that the manifest names; every digest is checked. As many tasks as files."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         schema = pa.schema([("page_id", pa.int64()), ("url", pa.string()), ("payload_bytes", pa.int64()), ("payload_digest", pa.string()), ("record_type", pa.string()), ("refers_to", pa.int64()), ("payload", pa.binary())])
@@ -195,4 +237,4 @@ def read_warc(manifest: DataFrame, folder: str, payloads: bool = False) -> DataF
                 if rows:
                     yield pa.RecordBatch.from_arrays([pa.array(x, t.type) for x, t in zip(zip(*rows, strict=True), schema, strict=True)], schema=schema)
 
-    return manifest.select("file", "records").repartition("file").mapInArrow(work, RECORD)
+    return manifest.select("file", "records").repartition(max(1, manifest.count())).mapInArrow(work, RECORD)

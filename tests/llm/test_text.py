@@ -152,3 +152,30 @@ def test_pipeline_stages(spark):
     cut = {r.doc_id: r.text for r in cp.repeated_substrings(spark, single, "").collect()}
     assert cut[1] == base and "word15" not in cut[5] and "term80" in cut[5]
     assert cp.packing(spark, cp.repeated_substrings(spark, single, ""), "").count() >= 2
+
+
+def test_warc_is_deterministic(spark, tmp_path):
+    rows = [(i, f"http://x/{i}", f"<p>{i % 40}" * (1 + i % 90)) for i in range(600)] + [(7, "http://x/7", "<p>7" * 8), (7, "http://x/7", "<p>7" * 8), (None, None, None), (None, None, "x")]
+    found = []
+    for run, parts in enumerate((1, 5)):
+        folder = f"file://{tmp_path}/warc{run}"
+        pages = spark.createDataFrame(rows[run::2] + rows[1 - run :: 2], "page_id long, url string, html string").repartition(parts)
+        manifest = warc.write_warc(pages, folder, roll_bytes=4000, range_bytes=20_000)
+        found.append(sorted((r.file, r.records, r.sha1) for r in manifest.collect()))
+        back = warc.read_warc(manifest, folder)
+        assert back.count() == len(rows) and back.rdd.getNumPartitions() == len(found[-1])
+        ids = []
+        for path in sorted((tmp_path / f"warc{run}").glob("*.warc.gz")):
+            with path.open("rb") as file:
+                ids += [f["WARC-Record-ID"] for f, _ in warc.parse_records(file.read)]
+        assert len(ids) == len(set(ids)) == len(rows)
+    assert found[0] == found[1] and len({f[0][:6] for f in found[0]}) > 3
+    empty = spark.createDataFrame([], "page_id long, url string, html string")
+    assert warc.write_warc(empty, f"file://{tmp_path}/none").count() == 0
+
+
+def test_rowspan():
+    page = "<table><tr><td rowspan=2>A<td>b<tr><td>c</table>"
+    assert html_text.extract(page) == "A  b\n   c"
+    page = "<table><tr><td>1<td rowspan=0 colspan=2>wide<td>x<tr><td>2<td>y<tr><td>3<td>z</table>"
+    assert html_text.extract(page) == "1  wide  x\n2        y\n3        z"
