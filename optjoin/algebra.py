@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 from dataclasses import dataclass, field
 
 
@@ -17,6 +18,10 @@ class Disconnected(QueryError):
     pass
 
 
+class TooManyArms(QueryError):
+    pass
+
+
 @dataclass(frozen=True)
 class Pattern:
     """Rows of a table under constants, as bindings of variables.
@@ -187,6 +192,14 @@ def union_compatible(a, b) -> bool:
     return variables(a) == variables(b)
 
 
+def conjuncts(expr: str, used: frozenset[str]) -> list[tuple[str, frozenset[str]]]:
+    """A conjunction as its parts, each with the variables it names; anything else, and what holds quotes or brackets, stays whole."""
+    parts = re.split(r"\s+AND\s+", expr, flags=re.I)
+    if len(parts) == 1 or re.search(r"['\"`()]|\bBETWEEN\b|\bCASE\b|\bOR\b", expr, re.I):
+        return [(expr, used)]
+    return [(x, frozenset(v for v in used if re.search(rf"\b{re.escape(v)}\b", x))) for x in parts]
+
+
 # Rewrites. Each returns the node unchanged where it doesn't apply.
 
 
@@ -244,7 +257,7 @@ def normal_form(node, limit: int = 32) -> list[Arm]:
                 mark = () if family is None else ((family, i, variables(a.tree), b.tree),)
                 out.append(Arm(type(n)(a.tree, b.tree), a.families + b.families + mark))
         if len(out) > limit:
-            raise QueryError(f"over {limit} union arms")
+            raise TooManyArms(f"over {limit} union arms")
         return out
 
     return expand(node)

@@ -17,10 +17,26 @@ def mask_and(a: DataFrame, b: DataFrame) -> DataFrame:
     return both.filter("n = 2").select("bucket", "bits")
 
 
+def positions(mask: DataFrame, var: str) -> DataFrame:
+    """The values that a mask holds, by built-in functions."""
+    byte = mask.select("bucket", F.posexplode(F.expr("transform(sequence(1, length(bits)), i -> cast(conv(hex(substring(bits, i, 1)), 16, 10) as int))")).alias("i", "byte")).filter("byte > 0")
+    bit = byte.select("bucket", "i", F.explode(F.expr("filter(sequence(0, 7), j -> shiftright(byte, j) & 1 = 1)")).alias("j"))
+    return bit.select(F.expr("cast((bucket - 1) * 32768 + 8 * i + j as bigint)").alias(var))
+
+
 def popcount(mask: DataFrame) -> DataFrame:
     return mask.agg(F.coalesce(F.sum(F.expr("bitmap_count(bits)")), F.lit(0)).alias("n"))
 
 
+def bloom_filter(left: DataFrame, keys: DataFrame, on: list[str], log2_bits: int = 27) -> DataFrame:
+    """left without most rows that have no partner: one bit for each hash of a key, so none with a partner is lost.
+
+    The bitmap has 2**log2_bits bits, which bounds what is moved whatever the number of keys.
+    """
+    hashed = F.pmod(F.xxhash64(*on), F.lit(1 << log2_bits))
+    return unfold(left.withColumn("_hash", hashed), fold_bits(keys.select(hashed.alias("_hash")), "_hash"), "_hash").drop("_hash")
+
+
 def unfold(df: DataFrame, mask: DataFrame, var: str) -> DataFrame:
     """Rows whose value is set in the mask: a join on the bucket and a bit test."""
     place = f"bitmap_bit_position(`{var}` + 1)"

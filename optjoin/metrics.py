@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
+import uuid
 from functools import reduce as fold
 
 from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
-from .algebra import Query, normal_form, patterns_of
+from .algebra import Filter, Query, Union, has, normal_form, patterns_of
 from .engine import Trace, run
 from .functions.bits import hybrid, run_lengths
+from .plans import structure as st
 from .sources.tables import Catalog
 
 
@@ -33,10 +35,68 @@ def minimality(catalog: Catalog, query: Query, **options) -> DataFrame:
 
 
 def repair_report(catalog: Catalog, query: Query, **options) -> DataFrame:
-    """(chain_rows, answers): how many rows the chain makes and how many stay after repair."""
+    """(chain_rows, nullified, removed, answers): rows of the chain, those in which a part of a child was hit only, and what best match takes away."""
     trace = Trace()
-    out = run(catalog, query, trace, **options)
-    return trace.chain.agg(F.count("*").alias("chain_rows")).crossJoin(out.agg(F.count("*").alias("answers")))
+    out = run(catalog, query, trace, **{"plan": "reorder", **options})
+    blocks: dict[str, list[str]] = {}
+    for c in trace.chain.columns:
+        if c.startswith("_hit_"):
+            blocks.setdefault(c.split("_")[2], []).append(c)
+    both = [fold(lambda a, b: a | b, map(F.col, hits)) & ~fold(lambda a, b: a & b, map(F.col, hits)) for hits in blocks.values()]
+    part = fold(lambda a, b: a | b, both) if both else F.lit(False)
+    rows = trace.chain.agg(F.count("*").alias("chain_rows"), F.count_if(part).alias("nullified")).crossJoin(out.agg(F.count("*").alias("answers")))
+    return rows.select("chain_rows", "nullified", (F.col("chain_rows") - F.col("answers")).alias("removed"), "answers")
+
+
+def survivors(catalog: Catalog, query: Query, pattern: str, **options) -> DataFrame:
+    """The distinct bindings of one pattern that are left after the full reduction."""
+    trace = Trace()
+    run(catalog, query, trace, **{"plan": "reorder", "reduce": "full", **options})
+    return trace.after[pattern].distinct()
+
+
+def nullified(catalog: Catalog, query: Query, **options) -> DataFrame:
+    """The rows of the chain after nullification and before best match."""
+    trace = Trace()
+    run(catalog, query, trace, **{"plan": "reorder", "force_repair": True, **options})
+    return trace.nullified.drop(*(c for c in trace.nullified.columns if c.startswith("_")))
+
+
+def structure_costs(catalog: Catalog, queries: dict[str, Query]) -> DataFrame:
+    """(query, patterns, cells, semijoins, arms): cells a row in flight can need, semi-joins of the full reduction, union arms."""
+    rows = []
+    for name, q in sorted(queries.items()):
+        every = patterns_of(q.body)
+        plain = not has(q.body, Union) and not has(q.body, Filter)
+        plan = st.reduction_plan(st.block_tree(q.body), {p.name: i for i, p in enumerate(every)}) if plain else []
+        rows.append((name, len(every), buffer_bound(q), len(plan), arm_count(q)))
+    return catalog.spark.createDataFrame(rows, "query string, patterns int, cells int, semijoins int, arms int")
+
+
+def stage_report(df: DataFrame) -> dict[str, int]:
+    """Runs df and sums what its stages read, shuffled and spilled, in bytes."""
+    context = df.sparkSession.sparkContext
+    group = f"report-{uuid.uuid4().hex}"
+    context.setJobGroup(group, group)
+    try:
+        df.write.format("noop").mode("overwrite").save()
+    finally:
+        context.setLocalProperty("spark.jobGroup.id", None)
+    tracker, store = context.statusTracker(), context._jsc.sc().statusStore()
+    out = dict.fromkeys(("input", "shuffle_read", "shuffle_write", "spill"), 0)
+    for job in tracker.getJobIdsForGroup(group):
+        for stage in tracker.getJobInfo(job).stageIds:
+            found = store.asOption(store.lastStageAttempt(stage)) if tracker.getStageInfo(stage) else None
+            if found is not None and found.isDefined():
+                s = found.get()
+                for key, value in (("input", s.inputBytes()), ("shuffle_read", s.shuffleReadBytes()), ("shuffle_write", s.shuffleWriteBytes()), ("spill", s.diskBytesSpilled())):
+                    out[key] += value
+    return out
+
+
+def scan_count(df: DataFrame) -> int:
+    """File scans in the plan of df, before adaptive execution reuses any."""
+    return df._jdf.queryExecution().sparkPlan().toString().count("FileScan ")
 
 
 def observe(df: DataFrame, **measures: Column) -> tuple[DataFrame, Observation]:
@@ -74,15 +134,24 @@ def index_size(rows: list[str]) -> tuple[int, int]:
     return sum(len(run_lengths(r)) for r in rows), sum(len(hybrid(r)[1]) + 1 for r in rows)
 
 
-def row_code_sizes(triples: DataFrame, predicate: str) -> DataFrame:
-    """(runs, hybrid): integers that either code needs for the S-O rows of one predicate, from positions alone.
+def row_code_sizes(triples: DataFrame, predicate: str, row: str = "o", column: str = "s") -> DataFrame:
+    """(runs, hybrid): integers that either code needs for the bit rows of one predicate, from positions alone.
 
-    A row of k ones in g groups of neighbours has about 2 g + 1 runs and k positions.
+    A row of k ones in g groups has g - 1 groups of zeros between them, one more where its first place is 0 and one more
+    where its last is; its run code is a first bit and the runs. The hybrid code takes the k positions where they are
+    fewer than the runs. Places are dense ids of the column terms, given without a window over all of them.
     """
     from pyspark.sql import Window
 
-    w = Window.partitionBy("s").orderBy("o")
-    rows = triples.filter(F.col("p") == predicate).select("s", F.dense_rank().over(Window.partitionBy("p").orderBy("o")).alias("o"))
-    marked = rows.withColumn("new", (F.col("o") - F.coalesce(F.lag("o").over(w), F.lit(-1)) != 1).cast("int"))
-    sizes = marked.groupBy("s").agg(F.count("*").alias("k"), (2 * F.sum("new") + 1).alias("r"))
-    return sizes.agg(F.sum("r").alias("runs"), F.sum(F.least("k", "r")).alias("hybrid"))
+    from .operators.graph import dense_ids
+
+    rows = triples.filter(F.col("p") == predicate).select(F.col(row).alias("r"), F.col(column).alias("c"))
+    ids = dense_ids(rows, "c")
+    placed = rows.join(ids, "c").select("r", "id").distinct()
+    w = Window.partitionBy("r").orderBy("id")
+    marked = placed.withColumn("new", (F.col("id") - F.coalesce(F.lag("id").over(w), F.lit(-1)) != 1).cast("int"))
+    sizes = marked.groupBy("r").agg(F.count("*").alias("k"), F.sum("new").alias("g"), F.min("id").alias("a"), F.max("id").alias("z"))
+    sizes = sizes.crossJoin(F.broadcast(ids.agg(F.max("id").alias("n"))))
+    runs = 2 * F.col("g") + (F.col("a") > 1).cast("int") + (F.col("z") < F.col("n")).cast("int")
+    both = sizes.select(runs.alias("runs"), F.when(F.col("k") < runs - 1, F.col("k")).otherwise(runs).alias("hybrid"))
+    return both.agg(F.sum("runs").cast("long").alias("runs"), F.sum("hybrid").cast("long").alias("hybrid"))

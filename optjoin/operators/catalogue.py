@@ -66,7 +66,74 @@ def _properties(c: Catalog) -> DataFrame:
     return t.groupBy("s").pivot("p", ["c_mktsegment", "c_nationkey"]).agg(F.first("o"))
 
 
+def star(triples_: DataFrame, predicates: dict[str, str]) -> DataFrame:
+    """One row per subject that has all these predicates; named by the values of the dict. Bucketed by s, no join shuffles."""
+    parts = [triples_.filter(F.col("p") == p).select("s", F.col("o").alias(name)) for p, name in predicates.items()]
+    out = parts[0]
+    for x in parts[1:]:
+        out = out.join(x, "s")
+    return out
+
+
+def to_map(triples_: DataFrame) -> DataFrame:
+    """(s, properties): a map of each subject's predicates, ascending; a predicate with several objects has the least."""
+    least = triples_.groupBy("s", "p").agg(F.min("o").alias("o"))
+    return least.groupBy("s").agg(F.map_from_entries(F.sort_array(F.collect_list(F.struct("p", "o")))).alias("properties"))
+
+
+def _triples(*tables: str):
+    from ..sources.tables import triples
+
+    return lambda c: triples(c, list(tables) or None)
+
+
+def _bound(c: Catalog, bound: bool) -> DataFrame:
+    from ..engine import run
+    from ..workloads import QUERIES
+
+    return run(c, QUERIES["q1"]).filter(F.col("o").isNotNull() if bound else F.col("o").isNull())
+
+
+def _q1_sql() -> str:
+    from ..workloads import SQL
+
+    return SQL["q1"]
+
+
 OPERATORS = {
+    "op_o12_named_graph": (lambda c: _triples("region", "nation")(c).filter("g = 'nation'").select("s", "p", "o"), "SELECT 'nation/' || n_nationkey s, 'n_name' p, n_name o FROM nation UNION ALL SELECT 'nation/' || n_nationkey, 'n_regionkey', 'region/' || n_regionkey FROM nation"),
+    "op_o13_project": (lambda c: c.table("customer").select("c_custkey", "c_nationkey", "c_name").withColumnsRenamed({"c_custkey": "c", "c_nationkey": "n"}).drop("c_name"), "SELECT c_custkey c, c_nationkey n FROM customer"),
+    "op_o18_bound": (lambda c: _bound(c, True), f"SELECT * FROM ({_q1_sql()}) WHERE o IS NOT NULL"),
+    "op_o18_not_bound": (lambda c: _bound(c, False), f"SELECT * FROM ({_q1_sql()}) WHERE o IS NULL"),
+    "op_o21_strings_more": (
+        lambda c: c.table("part").select("p_partkey", F.lower("p_name").alias("low"), F.concat_ws("/", "p_brand", "p_type").alias("pair"), F.size(F.split("p_name", " ")).alias("parts"), F.trim(F.concat(F.lit("  "), "p_brand", F.lit(" "))).alias("cut"), F.regexp_extract("p_brand", r"(\d+)", 1).alias("number"), F.regexp_replace("p_type", "[AEIOU]", "_").alias("masked")),
+        r"SELECT p_partkey, lower(p_name) low, concat_ws('/', p_brand, p_type) pair, len(string_split(p_name, ' '))::INT parts, trim('  ' || p_brand || ' ') cut, regexp_extract(p_brand, '(\d+)', 1) number, regexp_replace(p_type, '[AEIOU]', '_', 'g') masked FROM part",
+    ),
+    "op_o21_url": (lambda c: c.table("pages").select("page_id", F.parse_url("url", F.lit("HOST")).alias("host")), "SELECT page_id, nullif(regexp_extract(url, '^[a-z]+://([^/:?#]+)', 1), '') AS host FROM pages"),
+    "op_o22_dates_more": (
+        lambda c: c.table("orders").select("o_orderkey", F.date_format(F.date_trunc("month", F.col("o_orderdate").cast("timestamp")), "yyyy-MM-dd").alias("month"), F.date_format(F.date_add(F.to_date("o_orderdate"), 30), "yyyy-MM-dd").alias("due"), F.datediff(F.to_date("o_orderdate"), F.lit("1990-01-01").cast("date")).alias("days")),
+        "SELECT o_orderkey, strftime(date_trunc('month', o_orderdate), '%Y-%m-%d') AS month, strftime(o_orderdate::DATE + 30, '%Y-%m-%d') AS due, datediff('day', DATE '1990-01-01', o_orderdate::DATE)::INT AS days FROM orders",
+    ),
+    "op_o23_math_more": (
+        lambda c: c.table("lineitem").select("l_orderkey", "l_linenumber", F.ceil("l_quantity").alias("up"), F.abs(F.col("l_orderkey") - 100).alias("off"), F.round(F.sqrt("l_quantity"), 6).alias("root"), F.round(F.pow("l_discount", F.lit(2)), 6).alias("square")),
+        "SELECT l_orderkey, l_linenumber, ceil(l_quantity)::BIGINT up, abs(l_orderkey - 100) off, round(sqrt(l_quantity), 6) root, round(pow(l_discount, 2), 6) square FROM lineitem",
+    ),
+    "op_o25_json_more": (lambda c: c.table("events").select("event_id", F.get_json_object("props", "$.k").alias("text"), F.variant_get(F.parse_json("props"), "$.k", "int").alias("k")), "SELECT event_id, props->>'$.k' AS text, (props->>'$.k')::INT AS k FROM events"),
+    "op_o26_vectors_more": (
+        lambda c: c.table("embeddings").select("vec_id", F.posexplode("embedding").alias("i", "x"), F.transform("embedding", lambda x: x.cast("double") * 2)[0].alias("twice"), F.aggregate(F.zip_with("embedding", F.reverse("embedding"), lambda a, b: (a > b).cast("int")), F.lit(0), lambda a, b: a + b).alias("wins")).filter("i < 2").select("vec_id", "i", F.round(F.col("x").cast("double"), 4).alias("x"), F.round("twice", 4).alias("twice"), "wins"),
+        "SELECT vec_id, i::INT AS i, round(embedding[i + 1]::DOUBLE, 4) AS x, round(embedding[1]::DOUBLE * 2, 4) AS twice, list_sum([CASE WHEN embedding[j] > embedding[len(embedding) + 1 - j] THEN 1 ELSE 0 END for j in range(1, len(embedding) + 1)])::INT AS wins FROM embeddings, (VALUES (0), (1)) t(i)",
+    ),
+    "op_o27_map": (lambda c: to_map(_triples("customer")(c)).select("s", F.size("properties").alias("n"), F.element_at("properties", "c_name").alias("name"), F.array_join(F.map_keys("properties"), ",").alias("keys")), "SELECT 'customer/' || c_custkey s, 4 AS n, c_name AS name, 'c_acctbal,c_mktsegment,c_name,c_nationkey' AS keys FROM customer"),
+    "op_o28_typed_literals": (lambda c: _triples("customer", "part")(c).groupBy("p").agg(F.count(F.expr("try_cast(o AS double)")).alias("numbers"), F.count("*").alias("n")), """SELECT p, count(try_cast(o AS DOUBLE)) AS numbers, count(*) n FROM (
+        SELECT 'c_nationkey' p, 'nation/' || c_nationkey o FROM customer UNION ALL SELECT 'c_name', c_name FROM customer UNION ALL SELECT 'c_acctbal', c_acctbal::VARCHAR FROM customer UNION ALL SELECT 'c_mktsegment', c_mktsegment FROM customer
+        UNION ALL SELECT 'p_name', p_name FROM part UNION ALL SELECT 'p_brand', p_brand FROM part UNION ALL SELECT 'p_type', p_type FROM part UNION ALL SELECT 'p_size', p_size::VARCHAR FROM part UNION ALL SELECT 'p_retailprice', p_retailprice::VARCHAR FROM part) GROUP BY p"""),
+    "op_o42_star": (lambda c: star(_triples("customer")(c), {"c_nationkey": "n", "c_mktsegment": "m", "c_name": "name"}), "SELECT 'customer/' || c_custkey s, 'nation/' || c_nationkey n, c_mktsegment m, c_name AS name FROM customer"),
+    "op_o46_sort_aggregate": (lambda c: c.table("orders").groupBy("o_custkey").agg(F.max("o_orderpriority").alias("last"), F.min("o_orderstatus").alias("least")), "SELECT o_custkey, max(o_orderpriority) AS last, min(o_orderstatus) AS least FROM orders GROUP BY 1"),
+    "op_o52_grouping_sets": (lambda c: c.table("lineitem").groupingSets([("l_returnflag", "l_linestatus"), ("l_returnflag",), ()], "l_returnflag", "l_linestatus").agg(F.grouping_id().alias("g"), F.count("*").alias("n")), "SELECT l_returnflag, l_linestatus, grouping_id(l_returnflag, l_linestatus)::BIGINT AS g, count(*) n FROM lineitem GROUP BY GROUPING SETS ((l_returnflag, l_linestatus), (l_returnflag), ())"),
+    "op_o54_unpivot": (lambda c: c.table("nation").select("n_nationkey", "n_regionkey", (F.col("n_nationkey") * 2).alias("twice")).unpivot("n_nationkey", ["n_regionkey", "twice"], "name", "value"), "SELECT n_nationkey, 'n_regionkey' AS name, n_regionkey AS value FROM nation UNION ALL SELECT n_nationkey, 'twice', n_nationkey * 2 FROM nation"),
+    "op_o60_order_nulls": (lambda c: c.table("customer").join(c.table("events"), F.col("c_custkey") == F.col("user_id"), "left").select("c_custkey", "event_id").orderBy(F.col("event_id").desc_nulls_first(), "c_custkey").limit(100), "SELECT c_custkey, event_id FROM customer LEFT JOIN events ON c_custkey = user_id ORDER BY event_id DESC NULLS FIRST, c_custkey LIMIT 100"),
+    "op_o68_intersect_all": (lambda c: c.table("orders").select("o_custkey").intersectAll(c.table("events").select("user_id")), "SELECT o_custkey FROM orders INTERSECT ALL SELECT user_id FROM events"),
+    "op_o69_except_all": (lambda c: c.table("orders").select("o_custkey").exceptAll(c.table("events").select("user_id")), "SELECT o_custkey FROM orders EXCEPT ALL SELECT user_id FROM events"),
     "op_o01_scan": (lambda c: c.table("nation").select("n_nationkey", "n_name"), "SELECT n_nationkey, n_name FROM nation"),
     "op_o03_properties": (_properties, "SELECT 'customer/' || c_custkey s, c_mktsegment, 'nation/' || c_nationkey AS c_nationkey FROM customer"),
     "op_o06_values": (lambda c: c.spark.createDataFrame([(1, "a"), (2, None)], "x int, y string"), "SELECT * FROM (VALUES (1, 'a'), (2, NULL)) t(x, y)"),

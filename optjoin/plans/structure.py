@@ -205,13 +205,44 @@ def repair_required(nodes: list[Node]) -> Decision:
 
 
 def repair_required_v0(nodes: list[Node]) -> Decision:
-    """The older test: an acyclic variable graph, or one shared variable for every child pattern."""
-    if variable_graph_acyclic([p for x in nodes for p in x.patterns]) and not repair_required(nodes).repair:
-        return Decision(False, "the variable graph is acyclic")
-    for i, _ in enumerate(nodes[1:], 1):
-        if any(len(v) > 1 for v in parent_labels(nodes, i)) or repair_required(nodes).repair:
-            return Decision(True, "a child pattern shares several variables with its parent, or a cycle")
-    return Decision(False, "one shared variable each")
+    """The older test: an acyclic link graph, or child patterns of one join variable each, shared with their parent.
+
+    It looks at the whole graph and so misses children that hang together through their parent only.
+    """
+    edges = links(nodes)
+    if acyclic([p.name for x in nodes for p in x.patterns], edges):
+        return Decision(False, "the link graph is acyclic")
+    for x in nodes[1:]:
+        for p in x.patterns:
+            joined = frozenset().union(*(v for e, v in edges.items() if p.name in e))
+            if len(joined) != 1 or not joined <= nodes[x.parent].vars:
+                return Decision(True, f"the link graph is cyclic and {p.name} has other join variables than one of its parent")
+    return Decision(False, "one join variable for each child pattern, shared with its parent")
+
+
+def gyo_acyclic(patterns: list[Pattern]) -> bool:
+    """Acyclicity of the hypergraph of patterns by ear removal; a cross-check of `acyclic`."""
+    left = [set(p.vars) for p in patterns]
+    while True:
+        alone = [{v for v in e if sum(v in f for f in left) == 1} for e in left]
+        left = [e - a for e, a in zip(left, alone, strict=True)]
+        keep = [e for i, e in enumerate(left) if e and not any(e < f or (e == f and j < i) for j, f in enumerate(left))]
+        if len(keep) == len(left):
+            return not left
+        left = keep
+
+
+def check_properties(nodes: list[Node]) -> None:
+    """What a well-formed query has: a core that hangs together, and one parent for every child, met by its variables."""
+    edges = links(nodes)
+    core = [p.name for p in nodes[0].patterns]
+    assert connected(core, {e: v for e, v in edges.items() if e <= set(core)}), "the core falls apart"
+    for i, x in enumerate(nodes[1:], 1):
+        assert x.parent is not None and x.parent < i, f"{x.name} has no parent before it"
+        assert parent_labels(nodes, i), f"{x.name} shares no variable with its parent"
+        for j in range(len(nodes)):
+            if j not in (i, x.parent, *ancestors(nodes, i), *subtree(nodes, i)):
+                assert not (x.vars & nodes[j].vars) - nodes[x.parent].vars, f"{x.name} meets {nodes[j].name} outside its parent"
 
 
 def repair_required_literal(nodes: list[Node]) -> Decision:
@@ -250,12 +281,35 @@ def reduction_plan(nodes: list[Node], size: dict[str, int], mode: str = "auto",
                 out.append(up[-1])
         out.extend((x, to, v) for to, x, v in reversed(up))
 
+    def by_variables() -> None:
+        """The older order: over join variables from the least held one, upwards in all blocks and then downwards."""
+        joined = sorted({v for e in edges.values() for v in e})
+        near = {v: {w for e in edges.values() if v in e for w in e} | {w for x in nodes for p in x.patterns if v in p.vars for w in p.vars if w in joined} for v in joined}
+        weight = {v: min(size.get(p.name, 0) for x in nodes for p in x.patterns if v in p.vars) for v in joined}
+        found: list[str] = []
+        while len(found) < len(joined):
+            todo = [min((v for v in joined if v not in found), key=lambda v: (weight[v], v))]
+            while todo:
+                v = todo.pop(0)
+                if v not in found:
+                    found.append(v)
+                    todo += sorted(near[v] - set(found), key=lambda w: (weight[w], w))
+        for walk in (found[::-1], found):
+            for i, x in enumerate(nodes):
+                for v in walk:
+                    for p in x.patterns:
+                        others = [q for q in x.patterns if q is not p] + ([] if x.parent is None else list(nodes[x.parent].patterns))
+                        out.extend((p.name, q.name, frozenset((v,))) for q in others if v in p.vars & q.vars)
+
     def block_ok(i: int) -> bool:
         names = [p.name for p in nodes[i].patterns]
         return acyclic(names, {e: v for e, v in edges.items() if e <= set(names)})
 
     if mode == "off":
         return []
+    if mode == "variable_graph":
+        by_variables()
+        return out
     if mode == "greedy" or any(not block_ok(i) for i in range(1, len(nodes))):
         greedy(list(home))
         return out
@@ -287,21 +341,72 @@ def chain_order(nodes: list[Node], size: dict[str, int]) -> list[tuple[int, Patt
     return out
 
 
+Stats = dict[str, tuple[float, dict[str, float]]]
+
+
+def joined_size(rows: float, distinct: dict[str, float], other: tuple[float, dict[str, float]], shared) -> tuple[float, dict[str, float]]:
+    """Estimated rows of a join by the variables shared, and the distinct values of all variables."""
+    n, d = other
+    out = rows * n
+    for v in shared:
+        out /= max(distinct[v], d[v], 1.0)
+    kept = {**d, **distinct, **{v: min(distinct[v], d[v]) for v in shared}}
+    return out, {v: min(x, max(out, 1.0)) for v, x in kept.items()}
+
+
+def cost_order(nodes: list[Node], stats: Stats) -> list[tuple[int, Pattern]]:
+    """Like chain_order, but each step takes the linked pattern that leaves the fewest rows, from every possible start of the core."""
+    depth = sorted(range(len(nodes)), key=lambda i: (len(ancestors(nodes, i)), sum(stats[p.name][0] for p in nodes[i].patterns), i))
+
+    def walk(start: Pattern) -> tuple[float, list[tuple[int, Pattern]]]:
+        out, cost = [(0, start)], 0.0
+        rows, distinct = stats[start.name][0], dict(stats[start.name][1])
+        for i in depth:
+            left = [p for p in nodes[i].patterns if p is not start]
+            shared = frozenset().union(*parent_labels(nodes, i)) if nodes[i].parent is not None else frozenset()
+            first = nodes[i].parent is not None
+            while left:
+                linked = [p for p in left if p.vars & set(distinct)] or left
+                if first and any(p.vars >= shared for p in linked):
+                    linked = [p for p in linked if p.vars >= shared]
+                made = [(joined_size(rows, distinct, stats[p.name], p.vars & set(distinct)), p) for p in linked]
+                (n, d), p = min(made, key=lambda m: (m[0][0], stats[m[1].name][0], m[1].name))
+                rows, distinct = max(n, rows if nodes[i].parent is not None else 0.0), d
+                cost += rows
+                out.append((i, p))
+                left.remove(p)
+                first = False
+        return cost, out
+
+    return min((walk(p) for p in nodes[0].patterns), key=lambda x: (x[0], [p.name for _, p in x[1]]))[1]
+
+
+def has_choice(nodes: list[Node]) -> bool:
+    """Whether sizes can change the order by more than what stands first in a block of two."""
+    return any(len(x.patterns) > 2 or (len(x.patterns) == 2 and x.parent is not None) for x in nodes)
+
+
 def covering_subtree(patterns: list[Pattern], wanted: frozenset[str]) -> list[Pattern]:
     """Of an acyclic block: drops leaves of the join tree whose wanted variables another pattern holds."""
-    left = list(patterns)
+    return cover_steps(patterns, wanted)[0]
+
+
+def cover_steps(patterns: list[Pattern], wanted: frozenset[str]) -> tuple[list[Pattern], list[tuple[str, str, frozenset[str]]]]:
+    """The covering subtree, and the semi-joins by which the leaves dropped have their say first (not needed after a full reduction)."""
+    left, steps = list(patterns), []
     while len(left) > 1:
         edges = links([Node("", left)])
         for p in sorted(left, key=lambda p: (len(p.vars & wanted), p.name)):
             near = [q for q in left if q is not p and frozenset((p.name, q.name)) in edges]
             rest = frozenset().union(*(q.vars for q in left if q is not p))
-            cover = any(p.vars & rest <= q.vars for q in near)
+            cover = [q for q in near if p.vars & rest <= q.vars]
             if cover and p.vars & wanted <= rest:
                 left.remove(p)
+                steps.append((cover[0].name, p.name, p.vars & cover[0].vars))
                 break
         else:
             break
-    return left
+    return left, steps
 
 
 def tree_vars(tree) -> frozenset[str]:

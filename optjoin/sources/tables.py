@@ -13,20 +13,28 @@ class Catalog:
 
     def __init__(self, spark: SparkSession, folder: str | None = None, relations: dict[str, DataFrame] | None = None):
         self.spark, self.folder, self.relations = spark, folder, dict(relations or {})
+        self.given = frozenset(self.relations)
 
     def table(self, name: str) -> DataFrame:
         if name not in self.relations:
             self.relations[name] = self.spark.read.parquet(f"{self.folder}/{name}.parquet")
         return self.relations[name]
 
+    def table_for(self, p: Pattern) -> DataFrame:
+        return self.table(p.table)
+
 
 def _literal(value: object) -> Column:
     return F.lit(value)
 
 
-def bind(catalog: Catalog, p: Pattern) -> DataFrame:
-    """Bindings of one pattern: constants and repeated variables are filters, so they reach the scan."""
-    df = catalog.table(p.table)
+def bind(catalog: Catalog, p: Pattern, hub: str | None = None) -> DataFrame:
+    """Bindings of one pattern: constants and repeated variables are filters, so they reach the scan.
+
+    Relations keep rows with nulls: a null matches nothing in a join, and a row of the core stays as a miss.
+    hub: a variable that the pattern is next joined by; a pattern made distinct is then dealt by it once for both.
+    """
+    df = catalog.table_for(p)
     if p.where:
         df = df.filter(p.where)
     first: dict[str, str] = {}
@@ -39,9 +47,9 @@ def bind(catalog: Catalog, p: Pattern) -> DataFrame:
         else:
             df = df.filter(F.expr(column) == _literal(term))
     out = df.select(*(F.expr(c).alias(v) for v, c in first.items()))
-    # A join variable that is null matches nothing, so such rows bind nothing.
-    out = out.na.drop(subset=list(first))
-    return out.distinct() if p.semantics == "set" else out
+    if p.semantics != "set":
+        return out
+    return out.repartition(hub).distinct() if hub in out.columns else out.distinct()
 
 
 #: Table: (subject prefix, key expression, edges {column: prefix}, attributes).
@@ -75,7 +83,7 @@ def triples(catalog: Catalog, tables: list[str] | None = None) -> DataFrame:
     out = parts[0]
     for x in parts[1:]:
         out = out.unionByName(x)
-    return out.dropDuplicates(["s", "p", "o"])
+    return out.filter("o is not null").dropDuplicates(["s", "p", "o"])  # a null cell says nothing
 
 
 def write_triples(df: DataFrame, path: str) -> None:
@@ -83,6 +91,37 @@ def write_triples(df: DataFrame, path: str) -> None:
     df.repartition("p").sortWithinPartitions("s", "o").write.mode("overwrite").partitionBy("p").parquet(path)
 
 
-def choose_access(shape: str) -> str:
-    """The clustered copy for a pattern shape: s, p and o stand for fixed positions, ? for variables."""
-    return {"?po": "object slice, row p", "sp?": "subject slice, row p", "?p?": "predicate slice by the variable that joins first", "??o": "object slice", "s??": "subject slice", "s?o": "subject slice, column o", "spo": "existence test", "???": "full scan"}[shape]
+#: The copies of the triples, by the columns that cluster them: of each predicate by subject and by object, and of each subject and object by predicate.
+SLICES = {"so": ("p", ("s", "o")), "os": ("p", ("o", "s")), "po": ("s", ("p", "o")), "ps": ("o", ("p", "s"))}
+
+
+def write_slices(df: DataFrame, path: str, files: int = 64) -> None:
+    """All four copies, each sorted inside its files by its key and then by its columns, so that fixed terms skip row groups."""
+    for name, (key, rest) in SLICES.items():
+        df.repartitionByRange(files, key, *rest).sortWithinPartitions(key, *rest).write.mode("overwrite").parquet(f"{path}/{name}")
+
+
+def choose_access(p: Pattern, joined: str | None = None) -> str:
+    """The copy that serves a triple pattern, by which of its positions are fixed; other tables are scanned.
+
+    joined: the position that joins first, where only the predicate is fixed.
+    """
+    terms = dict(p.cols)
+    if set(terms) != {"s", "p", "o"}:
+        return "scan"
+    fixed = "".join(k if not (isinstance(v, str) and v.startswith("?")) else "?" for k, v in terms.items())
+    if fixed == "?p?":
+        return "os" if joined == "o" else "so"
+    return {"sp?": "so", "?po": "os", "spo": "so", "s??": "po", "??o": "ps", "s?o": "po", "???": "scan"}[fixed]
+
+
+class SliceCatalog(Catalog):
+    """The triples view over the four copies: each pattern is read from the one that its fixed terms choose."""
+
+    def __init__(self, spark: SparkSession, path: str):
+        super().__init__(spark, path)
+        self.path = path
+
+    def table_for(self, p: Pattern) -> DataFrame:
+        name = choose_access(p)
+        return self.spark.read.parquet(f"{self.path}/{'so' if name == 'scan' else name}")

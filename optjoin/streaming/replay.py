@@ -7,6 +7,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..engine import minimum_union
 from ..lineage import shared_dir
 from ..sources.tables import Catalog
 
@@ -23,11 +24,53 @@ def _files(c: Catalog) -> str:
 
 
 def replay(spark: SparkSession, stream: DataFrame, mode: str) -> DataFrame:
-    """Runs a stream over what its source has and returns the rows it has written."""
-    name = f"replay_{uuid.uuid4().hex}"
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
+    """Runs a stream over what its source has and returns the rows it has written, as files of the shared folder.
+
+    A batch that is run again writes its own files again, so rows are there once. In complete mode the last batch holds all.
+    """
+    folder = f"{shared_dir(spark)}/replay-{uuid.uuid4().hex}"
+    columns, rows = stream.columns, f"{folder}/rows"
+    spark.createDataFrame([], stream.schema).write.parquet(rows if mode == "complete" else f"{rows}/batch=-1")
+
+    def write(df: DataFrame, batch: int) -> None:
+        df.write.mode("overwrite").parquet(rows if mode == "complete" else f"{rows}/batch={batch}")
+
+    query = stream.writeStream.foreachBatch(write).option("checkpointLocation", f"{folder}/state").outputMode(mode).trigger(availableNow=True).start()
     query.awaitTermination()
-    return spark.table(name)
+    return spark.read.schema(stream.schema).parquet(rows).select(*columns)
+
+
+def best_match_stream(spark: SparkSession, stream: DataFrame, keys: list[str]) -> DataFrame:
+    """The rows of a stream of optional answers without those that a later one subsumes: (keys, null) goes once (keys, x) is there.
+
+    Each batch reads the answers of the keys it touches from the state before it, and writes the state after it, so a
+    batch that is run again starts from the same state.
+    """
+    folder = f"{shared_dir(spark)}/best-{uuid.uuid4().hex}"
+    spark.createDataFrame([], stream.schema).write.parquet(f"{folder}/0")
+    done = [0]
+
+    def write(df: DataFrame, batch: int) -> None:
+        before = spark.read.schema(stream.schema).parquet(f"{folder}/{batch}")
+        touched = df.select(*keys).distinct()
+        made = minimum_union([before.join(touched, keys, "left_semi"), df.select(*stream.columns)])
+        before.join(touched, keys, "left_anti").select(*stream.columns).unionByName(made).write.mode("overwrite").parquet(f"{folder}/{batch + 1}")
+        done[0] = batch + 1
+
+    query = stream.writeStream.foreachBatch(write).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start()
+    query.awaitTermination()
+    return spark.read.schema(stream.schema).parquet(f"{folder}/{done[0]}")
+
+
+def best_match_events(c: Catalog) -> DataFrame:
+    """Users with their purchases, or with none if they have only viewed, as rows arrive."""
+    rows = events_stream(c).filter("event_type IN ('view', 'purchase')").select("user_id", F.when(F.col("event_type") == "purchase", F.col("event_id")).alias("bought"))
+    return best_match_stream(c.spark, rows, ["user_id"])
+
+
+def sliding(c: Catalog) -> DataFrame:
+    s = events_stream(c).withWatermark("ts", "10 minutes").groupBy(F.window("ts", "2 days", "1 day"), "event_type").agg(F.count("*").alias("n"))
+    return replay(c.spark, s, "complete").select(F.unix_timestamp("window.start").alias("start"), "event_type", "n")
 
 
 def windowed(c: Catalog) -> DataFrame:
@@ -90,6 +133,11 @@ def distinct_users(c: Catalog) -> DataFrame:
 OPERATORS = {
     "stream_o73_source": (lambda c: replay(c.spark, events_stream(c).select("event_id", "event_type"), "append"), "SELECT event_id, event_type FROM events"),
     "stream_o74_windowed": (windowed, "SELECT epoch(date_trunc('day', ts))::BIGINT AS start, event_type, count(*) n FROM events GROUP BY 1, 2"),
+    "stream_o74_sliding": (sliding, "SELECT epoch(date_trunc('day', ts) - INTERVAL 1 DAY * k)::BIGINT AS start, event_type, count(*) n FROM events, (VALUES (0), (1)) t(k) GROUP BY 1, 2"),
+    "stream_o80_best_match": (
+        best_match_events,
+        "SELECT DISTINCT user_id, event_id AS bought FROM events WHERE event_type = 'purchase' UNION ALL SELECT DISTINCT user_id, NULL::BIGINT FROM events WHERE event_type = 'view' AND user_id NOT IN (SELECT user_id FROM events WHERE event_type = 'purchase')",
+    ),
     "stream_o75_sessions": (
         sessions,
         "WITH a AS (SELECT *, ts >= lag(ts) OVER w + INTERVAL 2 HOUR AS gap FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), b AS (SELECT *, sum(coalesce(gap, false)::INT) OVER (PARTITION BY user_id ORDER BY ts) k FROM a) SELECT user_id, count(*) n FROM b GROUP BY user_id, k",

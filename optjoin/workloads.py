@@ -182,6 +182,42 @@ _add(
     "SELECT v, turn t FROM (SELECT DISTINCT conv_id v FROM conversations) LEFT JOIN (SELECT * FROM conversations WHERE role = 'system') ON conv_id = v",
 )
 
+_SEVERAL = LeftJoin(LeftJoin(block(CN), block(pattern("U", "orders", o_orderkey="?o", o_custkey="?c", o_orderpriority="1-URGENT"), line("R", None, False, l_orderkey="?o", l_suppkey="?s", l_returnflag="R"))), block(pattern("V", "events", event_id="?e", user_id="?c", event_type="?t")))
+_add(
+    "distinct_several",
+    _SEVERAL,
+    "n s t",
+    "SELECT DISTINCT c_nationkey n, l_suppkey s, event_type t FROM customer LEFT JOIN (SELECT * FROM orders JOIN lineitem ON l_orderkey = o_orderkey WHERE o_orderpriority = '1-URGENT' AND l_returnflag = 'R') x ON o_custkey = c_custkey LEFT JOIN events ON user_id = c_custkey",
+    True,
+)
+_add("distinct_skips_child", _SEVERAL, "n t", "SELECT DISTINCT c_nationkey n, event_type t FROM customer LEFT JOIN events ON user_id = c_custkey", True)
+_BOTH = Filter(_W6, "b < 2000 AND c > 5", frozenset({"b", "c"}))
+_BOTHSQL = _W6SQL.format(on="", where=" AND c_acctbal < 2000 AND c_custkey > 5")
+for _place in ("load", "chain"):
+    _add(f"filter_{_place}", _BOTH, "c o b s", _BOTHSQL, filter_place=_place)
+_add("filter_rule4", _BOTH, "c o b s", _BOTHSQL)
+_add(
+    "filter_rule5",
+    Filter(Union(block(pattern("U", "orders", o_orderkey="?x", o_custkey="?c", o_orderpriority="1-URGENT")), block(pattern("V", "events", event_id="?x", user_id="?c", event_type="purchase"))), "c < 50 OR x > 100", frozenset({"c", "x"})),
+    "c x",
+    "SELECT * FROM (SELECT o_custkey c, o_orderkey x FROM orders WHERE o_orderpriority = '1-URGENT' UNION ALL SELECT user_id, event_id FROM events WHERE event_type = 'purchase') WHERE c < 50 OR x > 100",
+)
+_add("union_set", _W14, "c x", _W14SQL.format(d="DISTINCT "), union_scope="set")
+_add("union_min_family", _W14, "c x", _W14SQL.format(d="DISTINCT "), union_scope="family")
+_URGENT = pattern("U", "orders", o_orderkey="?x", o_custkey="?c", o_orderpriority="1-URGENT")
+_VIEW = pattern("W", "events", event_id="?w", user_id="?c", event_type="view")
+_ARMS = Union(block(pattern("K", "customer", c_custkey="?c", c_nationkey=7)), block(pattern("M", "customer", c_custkey="?c", c_mktsegment="BUILDING")))
+_ARMSQL = "(SELECT c_custkey c FROM customer WHERE c_nationkey = 7 UNION ALL SELECT c_custkey FROM customer WHERE c_mktsegment = 'BUILDING')"
+_add("union_rule1", LeftJoin(_ARMS, block(_URGENT)), "c x", f"SELECT c, o_orderkey x FROM {_ARMSQL} LEFT JOIN (SELECT * FROM orders WHERE o_orderpriority = '1-URGENT') ON o_custkey = c")
+_add("union_rule2", Join(_ARMS, block(_URGENT)), "c x", f"SELECT c, o_orderkey x FROM {_ARMSQL} JOIN orders ON o_custkey = c WHERE o_orderpriority = '1-URGENT'")
+_add("union_subsumed_global", Union(block(pattern("C1", "customer", c_custkey="?c")), LeftJoin(block(pattern("C2", "customer", c_custkey="?c")), block(pattern("E", "events", event_id="?e", user_id="?c")))), "c e", "SELECT DISTINCT c_custkey c, event_id e FROM customer LEFT JOIN events ON user_id = c_custkey", union_scope="global")
+_add(
+    "cyclic_child_nations",
+    _opt(block(pattern("N", "nation", n_nationkey="?n")), block(pattern("C", "customer", c_custkey="?c", c_nationkey="?n", c_mktsegment="BUILDING"), pattern("O", "orders", o_orderkey="?o", o_custkey="?c", o_orderpriority="1-URGENT"), line("L", l_orderkey="?o", l_suppkey="?s"), pattern("S", "supplier", "s_acctbal > 6000", s_suppkey="?s", s_nationkey="?n"))),
+    "n c o s",
+    "SELECT n_nationkey n, c_custkey c, o_orderkey o, l_suppkey s FROM nation LEFT JOIN (SELECT * FROM customer JOIN orders ON o_custkey = c_custkey JOIN lineitem ON l_orderkey = o_orderkey JOIN supplier ON s_suppkey = l_suppkey AND s_nationkey = c_nationkey WHERE c_mktsegment = 'BUILDING' AND o_orderpriority = '1-URGENT' AND s_acctbal > 6000) x ON c_nationkey = n_nationkey",
+)
+
 
 def _whole(node):
     """The tree without bounds on c_custkey."""
@@ -201,3 +237,17 @@ for _name, _sql in {
     _add(f"{_name}_whole", _whole(QUERIES[_name].body), " ".join(QUERIES[_name].select), _sql, QUERIES[_name].distinct, **QUERIES[_name].options)
 #: Groupings of the first query that give other answers.
 _add("regroup_inner", _opt(block(pattern("T1", "customer", c_custkey="?c", c_nationkey=7)), block(O)), "c o", "SELECT c_custkey c, o_orderkey o FROM customer LEFT JOIN orders ON o_custkey = c_custkey WHERE c_nationkey = 7")
+_add(
+    "regroup_left",
+    _opt(_opt(block(pattern("T1", "customer", c_custkey="?c", c_nationkey=7)), block(O)), block(pattern("F", "orders", "o_orderstatus = 'F'", o_orderkey="?o", o_orderstatus="?st"))),
+    "c o st",
+    "SELECT c_custkey c, a.o_orderkey o, b.o_orderstatus st FROM customer LEFT JOIN orders a ON a.o_custkey = c_custkey LEFT JOIN (SELECT * FROM orders WHERE o_orderstatus = 'F') b ON b.o_orderkey = a.o_orderkey WHERE c_nationkey = 7",
+    plan="nested",  # it isn't well designed, so it is evaluated as written
+)
+_add(
+    "cross_guarded",
+    _opt(block(pattern("R", "region", r_regionkey="?r")), block(pattern("N", "nation", n_nationkey="?n"))),
+    "r n",
+    "SELECT r_regionkey r, n_nationkey n FROM region LEFT JOIN nation ON true",
+    on_disconnected="cross",
+)
