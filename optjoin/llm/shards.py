@@ -168,7 +168,9 @@ def buckets_of(keys: np.ndarray, buckets: int) -> np.ndarray:
 
 
 def cut_by_bucket(keys: np.ndarray, buckets: int) -> Iterator[tuple[int, slice]]:
-    """The slices of ascending keys, one for each bucket that has some."""
+    """The slices of ascending keys, one for each bucket that has some; none without keys."""
+    if not len(keys):
+        return
     where = buckets_of(keys, buckets)
     cuts = np.flatnonzero(np.diff(where, prepend=-1))
     for a, b in zip(cuts, [*cuts[1:], len(keys)], strict=True):
