@@ -86,9 +86,8 @@ def stage_report(df: DataFrame) -> dict[str, int]:
     out = dict.fromkeys(("input", "shuffle_read", "shuffle_write", "spill"), 0)
     for job in tracker.getJobIdsForGroup(group):
         for stage in tracker.getJobInfo(job).stageIds:
-            found = store.asOption(store.lastStageAttempt(stage)) if tracker.getStageInfo(stage) else None
-            if found is not None and found.isDefined():
-                s = found.get()
+            if tracker.getStageInfo(stage):
+                s = store.lastStageAttempt(stage)
                 for key, value in (("input", s.inputBytes()), ("shuffle_read", s.shuffleReadBytes()), ("shuffle_write", s.shuffleWriteBytes()), ("spill", s.diskBytesSpilled())):
                     out[key] += value
     return out
