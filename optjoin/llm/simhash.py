@@ -211,7 +211,7 @@ def near_links(prints: DataFrame, count: int, distance: int = DISTANCE) -> DataF
     """Links (a, b) between distinct fingerprints (column print), enough to connect all that are linked."""
     if not 0 <= distance <= 4:
         raise ValueError("the keys cover distances up to 4")
-    buckets = max(1, count * 120 // 1_000_000)
+    buckets = max(1, count * 120 // 250_000)
 
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
