@@ -182,7 +182,7 @@ def write_warc(pages: DataFrame, folder: str, id_col: str = "page_id", url_col:
 
     number = F.when(F.col("id").isNull(), 0).otherwise(range_of(F.coalesce("id", F.lit(0))))
     every = rows.unionByName(known).withColumn("range", number if len(bounds) else F.lit(0))
-    ordered = every.repartition(len(bounds) + 1, "range").sortWithinPartitions("range", "id", "kind", F.coalesce("payload", F.lit("")), "url")
+    ordered = every.repartitionById(len(bounds) + 1, F.col("range").cast("int")).sortWithinPartitions("range", "id", "kind", F.coalesce("payload", F.lit("")), "url")
     ordered.mapInArrow(work, MANIFEST).write.mode("overwrite").parquet(f"{folder}/manifest")
     return spark.read.parquet(f"{folder}/manifest")
 
