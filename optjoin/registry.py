@@ -37,12 +37,6 @@ _add("bestmatch_sorted_two_class", lambda c: run(c, _W["two_class"], plan="reord
 for _name in ("q1", "q1_low", "two_class", "nested6"):
     _add(f"baseline_nested_{_name}", lambda c, q=_W[_name]: baselines.nested(c, q), _S[_name])
     _add(f"baseline_reorder_repair_{_name}", lambda c, q=_W[_name]: baselines.reorder_then_repair(c, q), _S[_name])
-for _name in ("nested6_whole",):
-    _add(f"baseline_nested_{_name}", lambda c, q=_W[_name]: baselines.nested(c, q), _S[_name])
-    _add(f"baseline_reorder_repair_{_name}", lambda c, q=_W[_name]: baselines.reorder_then_repair(c, q), _S[_name])
-    _add(f"reduce_greedy_{_name}", lambda c, q=_W[_name]: run(c, q, plan="reorder", reduce="greedy"), _S[_name])
-for _method in ("mask", "window"):
-    _add(f"bestmatch_{_method}_parent_linked_whole", lambda c, m=_method: run(c, _W["parent_linked_whole"], plan="reorder", best_match=m), _S["parent_linked_whole"])
 for _name in ("q1", "q1_tail", "cyclic_core"):
     _add(f"baseline_variable_graph_{_name}", lambda c, q=_W[_name]: baselines.reduce_by_variable_graph(c, q), _S[_name])
     _add(f"baseline_sql_{_name}", lambda c, q=_W[_name]: baselines.translated(c, q), _S[_name])
@@ -53,8 +47,8 @@ for _name in ("distinct_bmm_path", "distinct_hub", "distinct_optional_case1"):
 for _strategy in ("column", "bits", "broadcast", "bloom"):
     _add(f"reduce_{_strategy}_q1_low", lambda c, s=_strategy: run(c, _W["q1_low"], plan="reorder", reduce="full", semijoin=s), _S["q1_low"])
 _add("reduce_off_two_class", lambda c: run(c, _W["two_class"], plan="reorder", reduce="off"), _S["two_class"])
-_add("reduce_load_masks_nested6", lambda c: run(c, _W["nested6_whole"], load="masks"), _S["nested6_whole"])
-for _name in ("q1", "q1_low", "q1_tail", "two_class", "cyclic_core", "cyclic_child", "nested6_whole", "composite_acyclic"):
+_add("reduce_load_masks_nested6", lambda c: run(c, _W["nested6"], load="masks"), _S["nested6"])
+for _name in ("q1", "q1_low", "q1_tail", "two_class", "cyclic_core", "cyclic_child", "nested6", "composite_acyclic"):
     _add(f"reorder_full_{_name}", lambda c, q=_W[_name]: run(c, q, plan="reorder", reduce="full"), _S[_name])
 for _how in ("persist", "checkpoint"):
     _add(f"materialize_{_how}_two_class", lambda c, h=_how: run(c, _W["two_class"], plan="reorder", reduce="full", materialize=h), _S["two_class"])
