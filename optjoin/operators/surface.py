@@ -100,6 +100,14 @@ OPERATORS = {
     "parse_union": (_text('SELECT ?c ?x { customer(c_custkey: ?c) OPTIONAL { { orders(o_orderkey: ?x, o_custkey: ?c, o_orderpriority: "1-URGENT") } UNION { events(event_id: ?x, user_id: ?c, event_type: "purchase") } } }'), workloads.SQL["union_flags"]),
     "parse_page": (_text("SELECT ?o ?b { orders(o_orderkey: ?o, o_totalprice: ?b) FILTER(?b > 1000 && !(?b >= 50000)) } ORDER BY DESC(?b) ?o LIMIT 20 OFFSET 5"), "SELECT o_orderkey o, o_totalprice b FROM orders WHERE o_totalprice > 1000 AND o_totalprice < 50000 ORDER BY b DESC, o LIMIT 20 OFFSET 5"),
     "parse_distinct": (_text('SELECT DISTINCT ?c ?s { orders(o_orderkey: ?o, o_orderstatus: "F") . orders(o_orderkey: ?o, o_custkey: ?c) . lineitem(l_orderkey: ?o, l_suppkey: ?s) }'), workloads.SQL["distinct_bmm_path"]),
+    "parse_bind": (
+        _text('SELECT ?c ?k ?twice { customer(c_custkey: ?c, c_acctbal: ?b) OPTIONAL { orders(o_orderkey: ?o, o_custkey: ?c, o_orderpriority: "1-URGENT") } BIND(coalesce(?o, 0) + ?c AS ?k) BIND(2 * ?k AS ?twice) FILTER(?b > 1000) }'),
+        "SELECT c_custkey c, coalesce(o_orderkey, 0) + c_custkey k, 2 * k AS twice FROM customer LEFT JOIN (SELECT * FROM orders WHERE o_orderpriority = '1-URGENT') ON o_custkey = c_custkey WHERE c_acctbal > 1000",
+    ),
+    "parse_bind_distinct": (
+        _text('SELECT DISTINCT ?big ?s { orders(o_orderkey: ?o, o_totalprice: ?p, o_orderstatus: ?s) BIND(?p > 100000 AS ?big) }'),
+        "SELECT DISTINCT o_totalprice > 100000 AS big, o_orderstatus s FROM orders",
+    ),
     "parse_ask": (_text("ASK { customer(c_custkey: ?c, c_nationkey: 7) . orders(o_orderkey: ?o, o_custkey: ?c) }"), "SELECT count(*) > 0 AS found FROM customer JOIN orders ON o_custkey = c_custkey WHERE c_nationkey = 7"),
     "parse_construct": (
         _text('CONSTRUCT { ?c <of> ?n . ?c <ordered> ?o } WHERE { customer(c_custkey: ?c, c_nationkey: ?n) OPTIONAL { orders(o_orderkey: ?o, o_custkey: ?c, o_orderpriority: "1-URGENT") } }'),

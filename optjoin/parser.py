@@ -2,6 +2,7 @@
 
 A pattern is three terms (over the triples view) or `table(column: term, ...)`; a column may be a quoted
 SQL expression. Terms: ?variable, <name>, "text", numbers. A group is read from left to right.
+BIND(expression AS ?variable) stands at the end of the outermost group; Spark SQL evaluates it on each answer.
 """
 
 from __future__ import annotations
@@ -24,7 +25,7 @@ _SIGNS = {"&&": "AND", "||": "OR", "!": "NOT"}
 
 @dataclass(frozen=True)
 class Parsed:
-    """A query and what is applied to its answers. template: triples of a CONSTRUCT."""
+    """A query and what is applied to its answers. template: triples of a CONSTRUCT; names: the answer's columns, some of them computed."""
 
     query: Query
     ask: bool = False
@@ -32,6 +33,8 @@ class Parsed:
     order: tuple[tuple[str, bool], ...] = ()
     limit: int | None = None
     offset: int = 0
+    computed: tuple[tuple[str, str], ...] = ()
+    names: tuple[str, ...] = ()
 
 
 def _tokens(text: str) -> list[tuple[str, str]]:
@@ -52,6 +55,7 @@ def _plain(text: str) -> str:
 class _Reader:
     def __init__(self, text: str):
         self.tokens, self.at, self.numbers = _tokens(text), 0, count(1)
+        self.depth, self.binds = 0, []
 
     def sees(self, *words: str) -> bool:
         kind, value = self.tokens[self.at] if self.at < len(self.tokens) else ("end", "")
@@ -127,13 +131,29 @@ class _Reader:
             else:
                 out.append(_SIGNS.get(value, value))
 
+    def bind(self, tree) -> None:
+        if self.depth != 1 or tree is None:
+            raise QueryError("BIND stands at the end of the outermost group")
+        text, names = self.condition()
+        found = re.fullmatch(r"(.+) AS `(\w+)`", text, re.IGNORECASE | re.DOTALL)
+        known = variables(tree) | {v for v, _ in self.binds}
+        if not found or found[2] in known or f"`{found[2]}`" in found[1] or names - {found[2]} - known:
+            raise QueryError(f"BIND needs a new variable and an expression of known ones: {text}")
+        self.binds.append((found[2], found[1]))
+
     def group(self):
         self.needs("{")
+        self.depth += 1
         tree, filters = None, []
         join = lambda a, b: b if a is None else Block(a.patterns + b.patterns) if isinstance(a, Block) and isinstance(b, Block) else Join(a, b)
         while not self.takes("}"):
             if self.takes("."):
                 continue
+            if self.takes("BIND"):
+                self.bind(tree)
+                continue
+            if self.binds and not self.sees("FILTER"):
+                raise QueryError("a pattern after BIND")
             if self.takes("OPTIONAL"):
                 if tree is None:
                     raise QueryError("an optional part without anything before it")
@@ -147,6 +167,7 @@ class _Reader:
                 tree = join(tree, inner)
             else:
                 tree = join(tree, Block((self.pattern(),)))
+        self.depth -= 1
         if tree is None:
             raise QueryError("an empty group")
         return fold(lambda t, f: Filter(t, *f), filters, tree)
@@ -171,7 +192,8 @@ def parse(text: str) -> Parsed:
                 names.append(r.next()[1][1:])
     r.takes("WHERE")
     body = r.group()
-    every = variables(body)
+    made = {v for v, _ in r.binds}
+    every = variables(body) | made
     names = sorted(every) if names is None else names
     if not names or set(names) - every:
         raise QueryError(f"unknown answer variables: {sorted(set(names) - every)}")
@@ -190,11 +212,17 @@ def parse(text: str) -> Parsed:
         limit, offset = (number, offset) if word == "LIMIT" else (limit, number)
     if r.kind() != "end":
         raise QueryError(f"unread: {r.next()[1]!r}")
-    return Parsed(Query(body, tuple(names), distinct), ask, tuple(template), tuple(order), limit, offset)
+    used = set(names) - made | {v for v in every - made if any(f"`{v}`" in text for _, text in r.binds)}
+    used = used or every - made  # each answer counts, also where only constants are computed
+    return Parsed(Query(body, tuple(sorted(used, key=lambda v: (v not in names, v))) if made else tuple(names), distinct), ask, tuple(template), tuple(order), limit, offset, tuple(r.binds), tuple(names))
 
 
 def parse_query(text: str) -> Query:
-    return parse(text).query
+    """The query alone. A text with BIND computes on its answers and goes through `evaluate`."""
+    parsed = parse(text)
+    if parsed.computed:
+        raise QueryError("BIND is evaluated by evaluate()")
+    return parsed.query
 
 
 def _made(df: DataFrame, template) -> DataFrame:
@@ -210,6 +238,11 @@ def evaluate(catalog: Catalog, text: str, **options) -> DataFrame:
     df = run(catalog, parsed.query, **options)
     if parsed.ask:
         return df.limit(1).agg((F.count("*") > 0).alias("found"))
+    if parsed.computed:
+        for name, text in parsed.computed:
+            df = df.withColumn(name, F.expr(text))
+        df = df.select(*parsed.names)
+        df = df.distinct() if parsed.query.distinct else df
     if parsed.order:
         df = df.orderBy(*(F.col(v).desc() if down else F.col(v) for v, down in parsed.order))
     if parsed.offset:

@@ -7,8 +7,9 @@ from optjoin import algebra as al
 from optjoin import registry
 from optjoin.functions.bits import hybrid
 from optjoin.operators.surface import OPERATORS
-from optjoin.parser import parse, parse_query
+from optjoin.parser import evaluate, parse, parse_query
 from optjoin.sources.files import read_nt, write_nt
+from optjoin.sources.tables import Catalog
 
 NAMES = sorted(n for n, (_, sql) in OPERATORS.items() if sql) + ["stream_o78_optional"]
 
@@ -32,12 +33,17 @@ def test_shape_of_a_text():
     assert parse("SELECT * { ?s <p> ?o } ORDER BY ?s DESC(?o) OFFSET 2 LIMIT 3").order == (("s", False), ("o", True))
 
 
-@pytest.mark.parametrize("text", ["", "SELECT ?a {}", "SELECT ?b { t(x: ?a) }", "SELECT ?a { OPTIONAL { t(x: ?a) } }", "SELECT ?a { t(x: ?a) ", "SELECT ?a { t(x: ?a) } extra", "SELECT ?a { t(x ?a) }", "SELECT ?a { t(x: ?a) FILTER(?a > 1 }", "SELECT ?a { ~ }"])
+@pytest.mark.parametrize("text", ["", "SELECT ?a {}", "SELECT ?b { t(x: ?a) }", "SELECT ?a { OPTIONAL { t(x: ?a) } }", "SELECT ?a { t(x: ?a) ", "SELECT ?a { t(x: ?a) } extra", "SELECT ?a { t(x ?a) }", "SELECT ?a { t(x: ?a) FILTER(?a > 1 }", "SELECT ?a { ~ }", "SELECT ?a { BIND(1 AS ?a) }", "SELECT ?a { t(x: ?a) BIND(1 AS ?a) }", "SELECT ?b { t(x: ?a) BIND(?q + 1 AS ?b) }", "SELECT ?b { t(x: ?a) BIND(?a + 1 AS ?b) u(x: ?a) }", "SELECT ?b { t(x: ?a) OPTIONAL { u(x: ?a) BIND(?a + 1 AS ?b) } }"])
 def test_unreadable_texts(text):
     with pytest.raises(al.QueryError):
         parse(text)
 
 
+def test_computed_constants(spark):
+    rows = evaluate(Catalog(spark, SMALL), 'SELECT ?k { region(r_regionkey: ?r) BIND("a\\nb" AS ?k) }').collect()
+    assert [r.k for r in rows] == ["a\nb"] * 5
+
+
 def test_lines_round_trip(spark, tmp_path):
     rows = [("a", "p", 'x "y" \\n \\ z'), ("b", "p", ""), ("c", "p", "two\nlines\tand\rmore \\"), ("d", "q", "node")]
     df = spark.createDataFrame(rows, "s string, p string, o string")
