@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -27,8 +28,8 @@ def rle_agg():
     """How many runs of neighbours the distinct integers of a group form."""
 
     def runs(values: pd.Series) -> int:
-        held = values.dropna().drop_duplicates().sort_values()
-        return int((held.diff() != 1).sum())
+        held = np.unique(values.dropna().to_numpy())
+        return int((np.diff(held) != 1).sum()) + int(len(held) > 0)
 
     runs.__annotations__ = {"values": pd.Series, "return": int}
     return F.pandas_udf(runs, "int")

@@ -69,7 +69,7 @@ def toy(c: Catalog, **options: object) -> DataFrame:
 
 
 def _pairs(c: Catalog, *rows: tuple) -> DataFrame:
-    return c.spark.createDataFrame([Row(a=a, b=b) for a, b in rows], "a string, b string")
+    return c.spark.createDataFrame([Row(a=a, b=b) for a, b in rows], "a string, b string").coalesce(1)
 
 
 def null_join(c: Catalog) -> DataFrame:
