@@ -36,4 +36,13 @@ b AS (SELECT *, n_words < 20 OR 100 * n_repeat_words > 30 * n_words AS base_fail
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND {_VERDICT} AS kept FROM b
 """
 
-ORACLES: dict[str, str] = {"op4_substring_dedup": OP4, "op7_quality_rules": OP7}
+OP1 = """
+WITH d AS (SELECT page_id, coalesce(html, '') AS html FROM pages), h AS (SELECT *, sha1(html) AS x FROM d),
+m AS (SELECT x, min(page_id) AS least FROM h GROUP BY x),
+b AS (SELECT h.*, m.least, row_number() OVER (PARTITION BY h.x ORDER BY page_id) AS nth FROM h JOIN m USING (x))
+SELECT page_id, octet_length(encode(html))::BIGINT AS payload_bytes,
+  array_to_string(list_transform(range(0, 32), lambda i: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567', 1 + ((('0x' || substr(x, 5 * (i // 4) + 1, 5))::BIGINT >> (15 - 5 * (i % 4))) & 31)::BIGINT, 1)), '') AS payload_digest,
+  CASE WHEN nth = 1 THEN 'response' ELSE 'revisit' END AS record_type, CASE WHEN nth > 1 THEN least END AS refers_to FROM b
+"""
+
+ORACLES: dict[str, str] = {"op1_warc": OP1, "op4_substring_dedup": OP4, "op7_quality_rules": OP7}
