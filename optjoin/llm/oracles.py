@@ -1,5 +1,6 @@
 """DuckDB SQL for the queries that SQL can express, from their definitions and not from their code."""
 
+from .lm import ALPHA
 from .quality import RULES, STOP_WORDS
 
 _WORDS = r"list_filter(regexp_split_to_array(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '')"
@@ -45,4 +46,17 @@ SELECT page_id, octet_length(encode(html))::BIGINT AS payload_bytes,
   CASE WHEN nth = 1 THEN 'response' ELSE 'revisit' END AS record_type, CASE WHEN nth > 1 THEN least END AS refers_to FROM b
 """
 
-ORACLES: dict[str, str] = {"op1_warc": OP1, "op4_substring_dedup": OP4, "op7_quality_rules": OP7}
+OP5 = rf"""
+WITH d AS (SELECT doc_id, {_WORDS} AS w FROM documents),
+t AS (SELECT doc_id, i, w[i] AS a, w[i + 1] AS b, w[i + 2] AS c FROM (SELECT doc_id, w, unnest(range(1, len(w) + 1)) AS i FROM d)),
+o AS (SELECT doc_id, i, count(*) OVER () - count(*) OVER (PARTITION BY doc_id) AS other_words,
+  count(*) OVER (PARTITION BY a) - count(*) OVER (PARTITION BY doc_id, a) AS o1,
+  CASE WHEN b IS NOT NULL THEN count(*) OVER (PARTITION BY a, b) - count(*) OVER (PARTITION BY doc_id, a, b) END AS o2,
+  CASE WHEN c IS NOT NULL THEN count(*) OVER (PARTITION BY a, b, c) - count(*) OVER (PARTITION BY doc_id, a, b, c) END AS o3 FROM t),
+e AS (SELECT *, lag(o1) OVER v AS word_before, lag(o2) OVER v AS pair, lag(o2, 2) OVER v AS pair_before, lag(o3, 2) OVER v AS triple FROM o WINDOW v AS (PARTITION BY doc_id ORDER BY i)),
+s AS (SELECT doc_id, sum(ln(CASE WHEN triple > 0 THEN triple::DOUBLE / pair_before WHEN pair > 0 THEN {ALPHA}::DOUBLE ** least(i - 2, 1) * pair / word_before
+  ELSE {ALPHA}::DOUBLE ** least(i - 1, 2) * greatest(o1, 0.5::DOUBLE) / greatest(other_words, 1) END)) AS total FROM e GROUP BY doc_id)
+SELECT d.doc_id, len(d.w)::BIGINT AS n_words, round(coalesce(s.total, 0::DOUBLE), 4) AS log_score, CASE WHEN len(d.w) > 0 THEN round(exp(-s.total / len(d.w)), 2) END AS perplexity FROM d LEFT JOIN s USING (doc_id)
+"""
+
+ORACLES: dict[str, str] = {"op1_warc": OP1, "op4_substring_dedup": OP4, "op5_lm_scoring": OP5, "op7_quality_rules": OP7}

@@ -48,7 +48,8 @@ def substring(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return score_documents(table(spark, sf_dir, "documents"))
+    out = score_documents(table(spark, sf_dir, "documents"))
+    return out.select("doc_id", "n_words", F.round("log_score", 4).alias("log_score"), F.round("perplexity", 2).alias("perplexity"))
 
 
 def media(spark: SparkSession, sf_dir: str) -> DataFrame:
