@@ -5,6 +5,20 @@ from .quality import RULES, STOP_WORDS
 
 _WORDS = r"list_filter(regexp_split_to_array(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '')"
 
+OP2 = """
+WITH d AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS x FROM documents),
+u AS (SELECT doc_id, base, substr(x, 2 * base + 1, 610) AS y FROM (SELECT doc_id, x, unnest(range(0, length(x) // 2 - 49, 256)) AS base FROM d)),
+v AS (SELECT doc_id, base + i AS p, substr(y, 2 * i + 1, 100) AS s FROM (SELECT doc_id, base, y, unnest(range(0, length(y) // 2 - 49)) AS i FROM u)),
+m AS (SELECT s, min(doc_id) AS least FROM v GROUP BY s HAVING count(*) > 1),
+r AS (SELECT v.doc_id, p, lag(p) OVER (PARTITION BY v.doc_id ORDER BY p) AS before FROM v JOIN m USING (s) WHERE m.least < v.doc_id),
+k AS (SELECT doc_id, p, count(*) FILTER (before IS NULL OR p > before + 50) OVER (PARTITION BY doc_id ORDER BY p) AS span FROM r),
+n AS (SELECT doc_id, min(p) AS a, max(p) + 50 AS b FROM k GROUP BY doc_id, span),
+c AS (SELECT doc_id, list(a ORDER BY a) AS begins, [0] || list(b ORDER BY a) AS ends, sum(b - a) AS n_removed, count(*) AS n_spans FROM n GROUP BY doc_id),
+w AS (SELECT d.doc_id, x, coalesce(begins, []) || [length(x) // 2] AS begins, coalesce(ends, [0]) AS ends, coalesce(n_removed, 0) AS n_removed, coalesce(n_spans, 0) AS n_spans FROM d LEFT JOIN c USING (doc_id))
+SELECT doc_id, (length(x) // 2)::BIGINT AS n_bytes, n_removed::BIGINT AS n_removed, n_spans::BIGINT AS n_spans,
+  sha256(unhex(array_to_string(list_transform(range(1, len(ends) + 1), lambda j: substr(x, 2 * ends[j] + 1, 2 * (begins[j] - ends[j]))), ''))) AS kept_sha256 FROM w
+"""
+
 OP4 = rf"""
 WITH d AS (SELECT doc_id, {_WORDS} AS w FROM documents),
 v AS (SELECT doc_id, p, array_to_string(w[p:p + 49], ' ') AS s FROM (SELECT doc_id, w, unnest(range(1, len(w) - 48)) AS p FROM d)),
@@ -59,4 +73,4 @@ s AS (SELECT doc_id, sum(ln(CASE WHEN triple > 0 THEN triple::DOUBLE / pair_befo
 SELECT d.doc_id, len(d.w)::BIGINT AS n_words, round(coalesce(s.total, 0::DOUBLE), 4) AS log_score, CASE WHEN len(d.w) > 0 THEN round(exp(-s.total / len(d.w)), 2) END AS perplexity FROM d LEFT JOIN s USING (doc_id)
 """
 
-ORACLES: dict[str, str] = {"op1_warc": OP1, "op4_substring_dedup": OP4, "op5_lm_scoring": OP5, "op7_quality_rules": OP7}
+ORACLES: dict[str, str] = {"op1_warc": OP1, "op2_suffix_array_dedup": OP2, "op4_substring_dedup": OP4, "op5_lm_scoring": OP5, "op7_quality_rules": OP7}
