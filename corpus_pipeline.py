@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from optjoin.llm.near_text import distinct_texts
+from optjoin.llm.near_text import distinct_documents
 from optjoin.llm.packing import pack
 from optjoin.llm.quality import quality
 from optjoin.llm.session import cut
@@ -25,8 +25,8 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the document with the smallest id of each group of near-duplicates."""
-    return distinct_texts(docs, keep=COLUMNS[2:]).select(*COLUMNS)
+    """Keeps the document with the smallest id of each group of near-duplicates, by fingerprints and by texts."""
+    return distinct_documents(docs, keep=COLUMNS[2:]).select(*COLUMNS)
 
 
 def repeated_substrings(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

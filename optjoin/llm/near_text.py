@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from . import shards as sh
 from .rolling import CHUNK, U, mix
 from .session import cut, release
-from .simhash import components
+from .simhash import components, near_duplicates
 from .substring_dedup import Words
 
 WORDS, SIMILARITY, LOOSE, BINS = 5, 0.8, 0.6, 256
@@ -167,8 +167,8 @@ def exact_links(hashes: np.ndarray, first: np.ndarray, least: float) -> list[tup
     return out
 
 
-def repeats(ids: np.ndarray, links: Iterable[tuple[int, int]]) -> list[int]:
-    """The ids that links between rows lead to a smaller id; rows that share an id are one."""
+def rooted(ids: np.ndarray, links: Iterable[tuple[int, int]]) -> list[tuple[int, int]]:
+    """(id, the smallest that links between rows lead to) of the ids that aren't it; rows that share an id are one."""
     root: dict[int, int] = {}
 
     def find(x: int) -> int:
@@ -180,7 +180,12 @@ def repeats(ids: np.ndarray, links: Iterable[tuple[int, int]]) -> list[int]:
     for i, j in links:
         a, b = find(int(ids[i])), find(int(ids[j]))
         root[max(a, b)] = min(a, b)
-    return [x for x in root if find(x) != x]
+    return [(x, find(x)) for x in root if find(x) != x]
+
+
+def repeats(ids: np.ndarray, links: Iterable[tuple[int, int]]) -> list[int]:
+    """The ids that links between rows lead to a smaller id."""
+    return [x for x, _ in rooted(ids, links)]
 
 
 def set_digests(hashes: np.ndarray, first: np.ndarray) -> np.ndarray:
@@ -199,7 +204,7 @@ def _spread(keys: np.ndarray) -> np.ndarray:
 
 
 def loose_links(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = WORDS, similarity: float = SIMILARITY, loose: float = LOOSE, bins: int = BINS, shard_bytes: int = sh.SHARD_BYTES) -> DataFrame:
-    """Links (a, b) of ids that connect what may be near-duplicates; (a, a): a smaller id has the same shingles.
+    """Links (a, b, copy) of ids that connect what may be near-duplicates; copy: b is the smallest id with the shingles of a.
 
     Rows without an id or without words have none. Rows that share an id are all looked up.
     """
@@ -250,7 +255,8 @@ def loose_links(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
         ids = shard.ids[rows]
         alone = ~np.isin(ids, shard.ids[1:][shard.ids[1:] == shard.ids[:-1]])
         copies = np.zeros(len(shard), dtype=bool)
-        copies[rows[alone & (least < ids)]] = True
+        copy = alone & (least < ids)
+        copies[rows[copy]] = True
         row, key = prefixes(hashes, first, held, similarity)
         row, key = row[~copies[row]], _spread(key[~copies[row]])
         used, row = np.unique(row, return_inverse=True)
@@ -258,15 +264,14 @@ def loose_links(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
         start = np.cumsum(size) - size
         inside = hashes[np.repeat(first[used] - start, size) + np.arange(int(size.sum()))]
         marks, ids = sketches(inside, np.concatenate([start, [len(inside)]]), bins), shard.ids[used]
-        gone = shard.ids[copies]
-        links = np.stack([gone, gone], axis=1)
+        links = np.stack([shard.ids[rows[copy]], least[copy]], axis=1)
         order = np.lexsort((ids[row], key))
         row, key = row[order], key[order]
         out = []
         for b, s in sh.cut_by_bucket(key, buckets):
             rows, at = np.unique(row[s], return_inverse=True)
             out.append((b, sh.frames(sh.pack_sorted(key[s]), sh.squeeze(at.astype(np.uint32).tobytes()), ids[rows].tobytes(), sh.squeeze(marks[rows].tobytes()), b"")))
-        if len(gone):
+        if len(links):
             none = np.zeros(0, np.uint64)
             out.append((int(shard.ids[0]) % buckets, sh.frames(sh.pack_sorted(none), sh.squeeze(b""), b"", sh.squeeze(b""), links.tobytes())))
         return pa.table({"bucket": pa.array([x[0] for x in out], pa.int32()), "body": pa.array([x[1] for x in out], pa.binary())})
@@ -279,7 +284,8 @@ def loose_links(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
         at = np.concatenate([np.frombuffer(sh.unsqueeze(g[1]), np.uint32) + b for g, b in zip(got, base[:-1], strict=True)])
         names = np.concatenate(names)
         marks = np.frombuffer(b"".join(sh.unsqueeze(g[3]) for g in got), np.uint8).reshape(-1, bins)
-        links = [tuple(x) for g in got for x in np.frombuffer(g[4], np.int64).reshape(-1, 2).tolist()]
+        copies = np.frombuffer(b"".join(g[4] for g in got), np.int64).reshape(-1, 2)
+        links = []
         order = np.lexsort((names[at], key))
         key, at = key[order], at[order]
         head = np.flatnonzero(sh.first_of_runs(key))
@@ -292,35 +298,66 @@ def loose_links(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
                 links += link_key(names[rows], marks[rows], loose)
         pairs = np.array(list(set(links)), dtype=np.int64).reshape(-1, 2)
         release()
-        return pa.table({"a": pairs[:, 0], "b": pairs[:, 1]})
+        both = np.concatenate([pairs, copies])
+        return pa.table({"a": both[:, 0], "b": both[:, 1], "copy": np.arange(len(both)) >= len(pairs)})
 
     counts = sh.answer(sh.send(shards, None, ask, 0), count, 1)
-    return sh.over(shards, counts, deal, "bucket int, body binary").groupBy("bucket").applyInArrow(join, "a long, b long")
+    return sh.over(shards, counts, deal, "bucket int, body binary").groupBy("bucket").applyInArrow(join, "a long, b long, copy boolean")
 
 
-def distinct_texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: Iterable[str] = (), words: int = WORDS, similarity: float = SIMILARITY, **options) -> DataFrame:
-    """The rows of docs (id, text and the columns of `keep`) without near-duplicates of a smaller id.
+def similar_texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = WORDS, similarity: float = SIMILARITY, **options) -> DataFrame:
+    """(a, b): each id that similar pairs of texts connect to a smaller one, and such a smaller one.
 
-    Of each group of texts that similar pairs connect the smallest id stays; rows that share an id are
-    one document and stay or go together. Texts of equal shingles are told by 128 bits. Null and blank texts, and rows without an id, always stay. An
-    empty table gives no rows.
+    All groups are connected by these links. Rows that share an id are one document. Texts of equal shingles are told by 128 bits. Null and blank
+    texts, and rows without an id, have no link.
     """
     buckets = max(1, sh.text_bytes(docs, text_col) // (4 << 20))
     links = cut(loose_links(docs, id_col, text_col, words, similarity, **options))
-    roots = components(links)
+    roots = components(links.filter("not copy").select("a", "b"))
 
     def verify(table: pa.Table) -> pa.Table:
         table = sh.large(table).sort_by([("root", "ascending"), ("id", "ascending")])
         ids, root = table["id"].to_numpy(), table["root"].to_numpy()
         hashes, first = distinct_shingles(*shingle_hashes(*sh.utf8(table["text"]), words))
         heads = np.flatnonzero(sh.first_of_runs(root))
-        gone: list[int] = []
+        found: list[tuple[int, int]] = []
         for a, b in zip(heads, [*heads[1:], len(root)], strict=True):
-            gone += repeats(ids[a:b], exact_links(hashes[first[a] : first[b]], first[a : b + 1] - first[a], similarity))
+            found += rooted(ids[a:b], exact_links(hashes[first[a] : first[b]], first[a : b + 1] - first[a], similarity))
         release()
-        return pa.table({"id": pa.array(gone, pa.int64())})
+        both = np.array(found, dtype=np.int64).reshape(-1, 2)
+        return pa.table({"a": both[:, 0], "b": both[:, 1]})
 
     texts = docs.select(F.col(f"`{id_col}`").cast("long").alias("node"), F.col(f"`{text_col}`").cast("string").alias("text"))
     rows = texts.join(roots, "node").select("root", F.col("node").alias("id"), "text", F.pmod(F.xxhash64("root"), F.lit(buckets)).alias("bucket"))
-    gone = rows.groupBy("bucket").applyInArrow(verify, "id long").unionByName(links.filter("a = b").select(F.col("a").alias("id"))).withColumnRenamed("id", id_col)
+    return rows.groupBy("bucket").applyInArrow(verify, "a long, b long").unionByName(links.filter("copy").select("a", "b"))
+
+
+def distinct_texts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: Iterable[str] = (), words: int = WORDS, similarity: float = SIMILARITY, **options) -> DataFrame:
+    """The rows of docs (id, text and the columns of `keep`) without near-duplicates of a smaller id.
+
+    Of each group of texts that similar pairs connect the smallest id stays; rows that share an id are
+    one document and stay or go together. Null and blank texts, and rows without an id, always stay. An empty table gives no rows.
+    """
+    gone = similar_texts(docs, id_col, text_col, words, similarity, **options).select(F.col("a").alias(id_col))
+    return docs.select(id_col, text_col, *keep).join(gone, id_col, "left_anti")
+
+
+def distinct_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: Iterable[str] = (), **options) -> DataFrame:
+    """The rows of docs (id, text and the columns of `keep`) without near-duplicates of a smaller id, by fingerprints and by texts.
+
+    Documents are linked where their fingerprints differ in few bits, as `near_duplicates` finds them by its fuzzy keys.
+    Those keys end at 4 bits, and a similarity of 0.8 may take more; so texts that are similar are linked as well, as
+    `similar_texts` finds them. Of each group that links of either kind connect the smallest id stays. Rows that share an
+    id, null and blank texts and rows without an id are as in `distinct_texts`.
+    """
+    told = docs.filter(F.col(f"`{id_col}`").isNotNull() & F.col(f"`{text_col}`").rlike(r"[^\x20\x09-\x0D]"))
+    marks = near_duplicates(told, id_col, text_col).select(F.col(f"`{id_col}`").alias("id"), "component_id")
+    own = cut(marks.groupBy("id").agg(F.min("component_id").alias("group"), F.collect_set("component_id").alias("every")))
+    texts = similar_texts(docs, id_col, text_col, **options)
+    # Copies are in one group by their fingerprints, so they are one row once the group stands for a.
+    texts = texts.join(own.select(F.col("id").alias("a"), F.col("group").alias("u")), "a").select("u", "b").distinct()
+    texts = texts.join(own.select(F.col("id").alias("b"), F.col("group").alias("v")), "b").select("u", "v")
+    shared = own.filter(F.size("every") > 1).select(F.col("group").alias("u"), F.explode("every").alias("v"))
+    roots = components(texts.unionByName(shared).select(F.col("u").alias("a"), F.col("v").alias("b")))
+    gone = own.join(roots, F.col("group") == F.col("node"), "left").filter(F.coalesce("root", "group") != F.col("id")).select(F.col("id").alias(id_col))
     return docs.select(id_col, text_col, *keep).join(gone, id_col, "left_anti")

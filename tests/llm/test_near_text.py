@@ -6,6 +6,7 @@ import numpy as np
 import pytest
 
 from optjoin.llm import near_text
+from optjoin.llm.simhash import fingerprints_of
 
 
 def shingles(text):
@@ -90,3 +91,27 @@ def test_all_candidates_are_found(spark, shard_bytes):
     found = near_text.distinct_texts(docs, shard_bytes=shard_bytes).collect()
     assert sorted(((r.doc_id, r.text) for r in found), key=str) == kept_by_force(rows)
     assert near_text.distinct_texts(docs.limit(0)).count() == 0
+
+
+def bits_apart(a, b):
+    flat = [np.frombuffer(t.encode(), np.uint8) for t in (a, b)]
+    one, two = fingerprints_of(np.concatenate(flat), np.cumsum([0, *map(len, flat)]))
+    return int(np.bitwise_count(one ^ two))
+
+
+def test_documents_are_linked_by_fingerprints_and_by_texts(spark):
+    import corpus_pipeline
+
+    draw = random.Random(66)
+    base = [f"w{draw.randrange(10**6)}" for _ in range(600)]
+    spread = [f"e{i}" if i % 38 == 0 else w for i, w in enumerate(base)]
+    short = ["the", "of", "and", *(f"word{i}" for i in range(120))]
+    edit = ["other" if w == "word60" else w for w in short]
+    texts = {1: base, 2: spread, 3: short, 4: edit, 5: [f"t{i}" for i in range(90)], 6: base, 7: [*base, "x"], 8: [*spread, "y"]}
+    texts = {d: " ".join(w) for d, w in texts.items()} | {9: None, 10: " ", 11: "\t"}
+    assert bits_apart(texts[3], texts[4]) > 4 >= bits_apart(texts[1], texts[2])
+    one, two, three, four = (shingles(texts[d]) for d in (1, 2, 3, 4))
+    assert len(one & two) / len(one | two) < 0.8 <= len(three & four) / len(three | four)
+    docs = spark.createDataFrame([(d, t, "en", "s", 0) for d, t in texts.items()] + [(None, texts[1], "en", "s", 0)], "doc_id long, text string, lang string, source string, n_chars long")
+    kept = sorted((r.doc_id for r in corpus_pipeline.near_duplicates(spark, docs, "").collect()), key=str)
+    assert kept == sorted([1, 3, 5, 9, 10, 11, None], key=str)
