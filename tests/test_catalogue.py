@@ -5,7 +5,7 @@ import pytest
 from conftest import SMALL, same
 from optjoin import metrics, registry
 
-MOVED = ["null_compat_join", "null_empty_mapping", "null_minimum_union"]
+MOVED = ["null_compat_join", "null_empty_mapping", "null_minimum_union", "op_o06_values"]
 
 
 @pytest.mark.parametrize(("limit", "join"), [("10485760", "BroadcastHashJoin"), ("1000", "SortMergeJoin")])
