@@ -4,8 +4,10 @@ import random
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from optjoin.llm import near_text
+from optjoin.llm.session import cut
 from optjoin.llm.simhash import fingerprints_of
 
 
@@ -115,3 +117,31 @@ def test_documents_are_linked_by_fingerprints_and_by_texts(spark):
     docs = spark.createDataFrame([(d, t, "en", "s", 0) for d, t in texts.items()] + [(None, texts[1], "en", "s", 0)], "doc_id long, text string, lang string, source string, n_chars long")
     kept = sorted((r.doc_id for r in corpus_pipeline.near_duplicates(spark, docs, "").collect()), key=str)
     assert kept == sorted([1, 3, 5, 9, 10, 11, None], key=str)
+
+
+def shuffle_files(spark):
+    """Name and bytes of the shuffle files that are on disk."""
+    found = spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles()
+    files = [found.apply(i) for i in range(found.size())]
+    return {f.getName(): f.length() for f in files if f.getName().startswith("shuffle_")}
+
+
+def test_cut_gives_up_the_shuffle_files(spark):
+    docs = spark.range(1000).selectExpr("id % 50 AS a").groupBy("a").count().join(spark.range(50).repartition(7, "id"), F.col("a") == F.col("id"))
+    before = {*shuffle_files(spark)}
+    rows = cut(docs)
+    assert not {*shuffle_files(spark)} - before
+    assert sorted(rows.collect()) == sorted(docs.collect()) and rows.count() == 50
+
+
+def test_near_duplicates_leave_no_shuffled_texts(spark):
+    import corpus_pipeline
+
+    draw = random.Random(5)
+    texts = [" ".join(f"w{draw.randrange(10**6)}" for _ in range(300)) for _ in range(200)]
+    docs = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in enumerate([*texts, *texts[:50]])], "doc_id long, text string, lang string, source string, n_chars long")
+    before = {*shuffle_files(spark)}
+    out = corpus_pipeline.near_duplicates(spark, docs, "")
+    left = sum(n for name, n in shuffle_files(spark).items() if name not in before)
+    assert left < sum(map(len, texts)) // 20
+    assert out.count() == 200
